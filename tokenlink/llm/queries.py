@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import linededup, pii, sharding
+from . import linededup, neardup, packing, pii, quality, rules, sharding
 from .scratch import table
 
 
@@ -18,6 +18,24 @@ def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.digest(table(spark, sf_dir, "documents"))
 
 
+def op5_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_duplicates(table(spark, sf_dir, "documents"), k=2)
+
+
+def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    judged = rules.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
+def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"))
+
+
+def op8_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    marked = quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return marked.select("doc_id", (quality.fold() == quality.HELD_OUT).alias("held_out"), "score", "predicted")
+
+
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, source, the cleaned text and its line counts."""
     return linededup.drop_boilerplate(table(spark, sf_dir, "documents")).select("doc_id", "source", "text", "n_lines", "n_dropped")
@@ -26,13 +44,43 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_sharding": op1_sharding,
     "op2_pii": op2_pii,
+    "op5_minhash_near_dedup": op5_minhash_near_dedup,
+    "op6_quality_rules": op6_quality_rules,
+    "op7_best_fit_packing": op7_best_fit_packing,
+    "op8_quality_classifier": op8_quality_classifier,
     "op10_line_dedup": op10_line_dedup,
 }
 
 ORACLES: dict[str, str] = {
+    "op5_minhash_near_dedup": r"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[ \t-\r]+'), x -> x <> '') AS w
+  FROM documents
+), sets AS (
+  SELECT doc_id, list_distinct(CASE WHEN len(w) = 0 THEN [] WHEN len(w) = 1 THEN [w[1]]
+                               ELSE list_transform(range(1, len(w)), i -> w[i] || ' ' || w[i + 1]) END) AS s
+  FROM words
+), classes AS (
+  SELECT min(doc_id) AS node, list_sort(s) AS s FROM sets GROUP BY list_sort(s) HAVING len(list_sort(s)) > 0
+), shingles AS (
+  SELECT node, len(s) AS n, unnest(s) AS g FROM classes
+), links AS (
+  SELECT a.node AS a, b.node AS b
+  FROM shingles a JOIN shingles b ON a.g = b.g AND a.node < b.node AND 5 * least(a.n, b.n) >= 4 * greatest(a.n, b.n)
+  GROUP BY a.node, b.node, a.n, b.n HAVING 100 * count(*) >= 80 * (a.n + b.n - count(*))
+), edges AS (
+  SELECT a, b FROM links UNION ALL SELECT b, a FROM links
+), reach(node, hit) AS (
+  SELECT node, node FROM classes UNION SELECT reach.node, edges.b FROM reach JOIN edges ON reach.hit = edges.a
+), comp AS (
+  SELECT node, min(hit) AS c FROM reach GROUP BY node
+)
+SELECT d.doc_id, CAST(len(d.s) AS BIGINT) AS n_shingles, coalesce(comp.c, d.doc_id) AS component_id, d.doc_id = coalesce(comp.c, d.doc_id) AS kept
+FROM sets d LEFT JOIN classes ON list_sort(d.s) = classes.s LEFT JOIN comp ON comp.node = classes.node
+""",
     "op10_line_dedup": r"""
 WITH lines AS (
-  SELECT doc_id, source, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS at
+  SELECT doc_id, source, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS pos
   FROM documents
 ), keyed AS (
   SELECT *, trim(line, ' ' || chr(9) || chr(11) || chr(12) || chr(13)) AS k FROM lines
@@ -43,7 +91,7 @@ WITH lines AS (
   JOIN sites ON source IS NOT DISTINCT FROM of
   WHERE pages >= 3 AND pages > 0.05 * site_pages
 ), kept AS (
-  SELECT keyed.doc_id, string_agg(line, chr(10) ORDER BY at) FILTER (WHERE boiler.k IS NULL) AS text,
+  SELECT keyed.doc_id, string_agg(line, chr(10) ORDER BY pos) FILTER (WHERE boiler.k IS NULL) AS text,
          count(*) FILTER (WHERE keyed.k <> '') AS n_lines, count(*) FILTER (WHERE boiler.k IS NOT NULL) AS n_dropped
   FROM keyed LEFT JOIN boiler ON keyed.k = boiler.k AND keyed.source IS NOT DISTINCT FROM boiler.source
   GROUP BY keyed.doc_id
