@@ -27,10 +27,10 @@ def from_fixed_width(lines: DataFrame, layout: Layout) -> DataFrame:
 
 
 def read_quarantined(spark: SparkSession, path: str, schema: str, fmt: str = "csv", **options: str) -> tuple[DataFrame, DataFrame]:
-    """Good rows, and the text of rows that do not parse."""
+    """Good rows, and rows that do not parse with their text."""
     reader = spark.read.schema(f"{schema}, _corrupt string").option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", "_corrupt").options(**options)
     rows = reader.format(fmt).load(path)
-    return rows.where("_corrupt is null").drop("_corrupt"), rows.where("_corrupt is not null").select("_corrupt")
+    return rows.where("_corrupt is null").drop("_corrupt"), rows.where("_corrupt is not null")
 
 
 def write_tokens(long: DataFrame, table: str, buckets: int = 64) -> None:
