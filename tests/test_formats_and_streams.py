@@ -85,7 +85,7 @@ def test_windows_late_and_repeated(spark, data, tmp_path):
     events = Context(spark, data).t.events
     schema = ", ".join(f"{n} {t}" for n, t in events.dtypes)
     events.unionByName(events).orderBy("ts").coalesce(1).write.parquet(f"{tmp_path}/in")
-    stream = streams.file_stream(spark, f"{tmp_path}/in", schema)
+    stream = streams.event_stream(spark, f"{tmp_path}/in", schema)
     once = streams.deduplicated(stream, "10 days")
     streams.start(once, f"{tmp_path}/d", "append", "once").format("memory").start().awaitTermination(120)
     assert spark.table("once").count() == events.count()
@@ -112,7 +112,7 @@ def test_interval_join_stream(spark, data, tmp_path):
     events = Context(spark, data).t.events
     schema = ", ".join(f"{n} {t}" for n, t in events.dtypes)
     events.coalesce(1).write.parquet(f"{tmp_path}/in")
-    s = lambda: streams.file_stream(spark, f"{tmp_path}/in", schema)
+    s = lambda: streams.event_stream(spark, f"{tmp_path}/in", schema)
     joined = windows.notice_then_encounter(windows.notices(s()).withWatermark("notice_ts", "1 hour"), windows.seen(s()).withWatermark("encounter_ts", "1 hour"))
     streams.start(joined, f"{tmp_path}/ck", "append", "pairs").format("memory").start().awaitTermination(120)
     expected = windows.notice_then_encounter(windows.notices(events), windows.seen(events))

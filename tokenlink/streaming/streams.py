@@ -24,6 +24,11 @@ def file_stream(spark: SparkSession, path: str, schema: str, files_per_trigger:
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
 
 
+def event_stream(spark: SparkSession, path: str, schema: str) -> DataFrame:
+    """Events with ``ts`` as an instant, which watermarks need."""
+    return file_stream(spark, path, schema).withColumn("ts", F.col("ts").cast("timestamp"))
+
+
 def tokenized(raw: DataFrame, id_col: str, rules: RuleSet = EVALUATED) -> DataFrame:
     """Standardize and tokenize arriving records; stateless."""
     return tokens_long(standardize(raw, id_col), rules, keep=("death_date",))
