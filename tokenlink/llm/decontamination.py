@@ -6,9 +6,9 @@ edit distance d write the same words but for about d squared steps, so edit dist
 distance.  Each of ``WALKS`` walks samples ``PICKS`` steps; a window and an item that write the same words
 there are candidates, and the exact edit distance of windows around the candidate confirms or refuses them.
 
-Windows are as long as items and begin at every word.  A window that can lie within the allowed distance of
-an item holds nearly all of its words among the items' words; running counts find the windows that do, and
-only those are embedded.  This count loses nothing.
+Windows are as long as items and begin at every word.  An edit spoils one word and two word pairs at most, so
+a window that lies within the allowed distance of an item holds nearly all of its words and pairs among the
+items'; running counts find the windows that do, and only those are embedded.  This count loses nothing.
 
 The items travel with the tasks, in blocks of bounded size; every block is compared with every document.
 
@@ -20,7 +20,7 @@ several times in a document gives one row, with its best passage, the first of e
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 #: Share of an item's words that may be inserted, deleted or replaced.
 ERRORS = 0.15
-WALKS, PICKS = 24, 2
+WALKS, PICKS = 32, 4
 #: Items whose tables travel with a task at once, and their words.
 BLOCK_ITEMS, BLOCK_BYTES = 20_000, 32 << 20
 
@@ -38,22 +38,6 @@ def words(text: str | None) -> list[bytes]:
     return (text or "").encode().lower().split()
 
 
-def edit_distance(a: list, b: list, most: int) -> int:
-    """Word edit distance, or ``most + 1`` if it is larger."""
-    if abs(len(a) - len(b)) > most:
-        return most + 1
-    row = list(range(len(b) + 1))
-    for i, x in enumerate(a, 1):
-        last, row[0] = row[0], i
-        low = i
-        for j, y in enumerate(b, 1):
-            last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
-            low = min(low, row[j])
-        if low > most:
-            return most + 1
-    return row[-1]
-
-
 def best_passage(item: list, text: list, most: int) -> tuple[int, int, int] | None:
     """(errors, start, end) of the passage of ``text`` nearest to ``item``, if within ``most``: Sellers' algorithm."""
     cost, start = [0] * (len(text) + 1), list(range(len(text) + 1))
@@ -69,77 +53,119 @@ def best_passage(item: list, text: list, most: int) -> tuple[int, int, int] | No
     return (cost[j], start[j], j) if cost[j] <= most else None
 
 
-@dataclass
 class Index:
-    """The items of a block, and the samples of their walks."""
+    """Items of similar length and the samples of their walks; word codes come from the group's vocabulary."""
 
-    items: list[tuple[int, list[bytes]]]
-
-    def __post_init__(self) -> None:
-        self.ids: dict[bytes, int] = {}
-        for _, w in self.items:
-            for x in w:
-                self.ids.setdefault(x, len(self.ids) + 1)
-        self.coded = [np.array([self.ids[x] for x in w]) for _, w in self.items]
-        self.allowed = [int(ERRORS * len(w)) for _, w in self.items]
+    def __init__(self, items: list[tuple[int, list[bytes]]], ids: dict[bytes, int]):
+        self.names = [i for i, _ in items]
+        self.coded = [np.array([ids[x] for x in w]) for _, w in items]
+        self.allowed = [int(ERRORS * len(c)) for c in self.coded]
+        self.lost = max(self.allowed)
         # the walk of the shortest item bounds the steps that may be sampled
-        self.shortest = min((len(w) for _, w in self.items), default=0)
+        self.n = min(map(len, self.coded))
         rng = np.random.default_rng(9)
-        salts = rng.integers(0, 2**63, len(self.ids) + 1, dtype=np.uint64)
-        self.table: list[dict[int, list[int]]] = []
-        steps = max(2, self.shortest + self.shortest // 2)
-        self.picks = [np.sort(rng.choice(steps, PICKS, replace=False)) for _ in range(WALKS)]
-        self.bits = [(np.random.default_rng(100 + r).integers(0, 2**63, int(p[-1]) + 1, dtype=np.uint64)[:, None] * (salts | np.uint64(1)) >> np.uint64(63)).astype(np.int64) for r, p in enumerate(self.picks)]
+        salts = np.random.default_rng(10).integers(0, 2**63, len(ids) + 1, dtype=np.uint64) | np.uint64(1)
+        steps = max(PICKS, self.n + self.n // 2)
+        self.salts, self.steps = salts, steps
+        self.sampled = np.zeros((steps, WALKS), bool)
         for r in range(WALKS):
-            entries: dict[int, list[int]] = {}
-            for i, c in enumerate(self.coded):
-                entries.setdefault(int(self.keys(r, c, np.zeros(1, np.int64))[0]), []).append(i)
-            self.table.append(entries)
-        self.known = [np.fromiter(t, np.int64, len(t)) for t in self.table]
-
-    def keys(self, walk: int, codes: np.ndarray, starts: np.ndarray) -> np.ndarray:
-        """What the walk writes at its sampled steps, for windows beginning at ``starts``."""
-        padded = np.append(codes, np.zeros(len(self.bits[walk]) + 1, codes.dtype))
-        at, out, picks = starts.copy(), np.zeros(len(starts), np.int64), set(self.picks[walk].tolist())
-        for step, bits in enumerate(self.bits[walk]):
-            word = padded[at]
-            if step in picks:
-                out = out * np.int64(1_000_003) + word
-            at += bits[word]
+            self.sampled[rng.choice(steps, PICKS, replace=False), r] = True
+        self.draws = rng.integers(0, 2**63, (steps, WALKS), dtype=np.uint64) | np.uint64(1)
+        keys = np.concatenate([self.keys(c, np.zeros(1, np.int64)) for c in self.coded], axis=1)
+        self.order = np.argsort(keys, axis=1)
+        self.sorted = np.take_along_axis(keys, self.order, axis=1)
+
+    def keys(self, codes: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        """What each walk writes at its sampled steps, for windows beginning at ``starts``: walks by starts."""
+        padded = np.append(codes, np.zeros(self.steps + 1, codes.dtype))
+        salted = self.salts[padded]
+        at = np.tile(starts, (WALKS, 1))
+        out = np.zeros(at.shape, np.int64)
+        for sampled, draw in zip(self.sampled, self.draws, strict=True):
+            if sampled.any():
+                out[sampled] = out[sampled] * np.int64(1_000_003) + padded[at[sampled]]
+            at += ((salted[at] * draw[:, None]) >> np.uint64(63)).astype(np.int64)
         return out
 
-    def hits(self, text: list[bytes]) -> dict[int, tuple[int, int, int]]:
-        """Item to (errors, start, end)."""
-        if not self.shortest or not text:
-            return {}
-        codes = np.fromiter(map(self.ids.get, text, [0] * len(text)), np.int64, len(text))
-        known = np.concatenate([[0], np.cumsum(codes > 0)])
-        n = self.shortest
-        ends = np.minimum(np.arange(len(text)) + n, len(text))
-        # of the first n words of a match at most the allowed errors of the longest item are foreign
-        lost = max(self.allowed)
-        starts = np.flatnonzero(known[ends] - known[:-1] >= n - lost)
-        if not len(starts):
-            return {}
-        found: dict[int, tuple[int, int, int]] = {}
-        tried: set[tuple[int, int]] = set()
-        for r in range(WALKS):
-            keys = self.keys(r, codes, starts)
-            for k in np.flatnonzero(np.isin(keys, self.known[r])):
-                for i in self.table[r][int(keys[k])]:
-                    size, most, at = len(self.coded[i]), self.allowed[i], int(starts[k])
-                    if (i, at) in tried or (i in found and found[i][0] == 0):
-                        continue
-                    tried.add((i, at))
-                    # a window's own count of the item's words refuses most candidates
-                    low, high = max(0, at - most), min(len(text), at + size + most)
-                    if known[high] - known[low] < size - most or np.isin(codes[low:high], self.coded[i]).sum() < size - most:
-                        continue
-                    got = best_passage(self.coded[i].tolist(), codes[low:high].tolist(), most)
-                    if got and (i not in found or (got[0], got[1] + low) < found[i][:2]):
-                        found[i] = (got[0], got[1] + low, got[2] + low)
+    def hits(self, codes: np.ndarray, known: np.ndarray, pairs: np.ndarray) -> dict[int, tuple[int, int, int]]:
+        """Item to (errors, start, end); known and pairs are running counts of the items' words and word pairs."""
+        size = len(codes)
+        at = np.arange(size)
+        ends = np.minimum(at + self.n, size)
+        # of the first n words of a match at most ``lost`` are foreign
+        ok = (known[ends] - known[at] >= self.n - self.lost) & (pairs[np.maximum(ends - 1, at)] - pairs[at] >= self.n - 1 - 2 * self.lost)
+        starts = np.flatnonzero(ok)
+        candidates: dict[int, set[int]] = {}
+        for block in range(0, len(starts), 4096):
+            own = starts[block : block + 4096]
+            for r, keys in enumerate(self.keys(codes, own)):
+                low, high = np.searchsorted(self.sorted[r], keys, "left"), np.searchsorted(self.sorted[r], keys, "right")
+                for k in np.flatnonzero(high > low):
+                    for i in self.order[r, low[k] : high[k]]:
+                        candidates.setdefault(int(i), set()).add(int(own[k]))
+        found = {}
+        for i, places in candidates.items():
+            if got := self.verified(i, sorted(places), codes):
+                found[i] = got
         return found
 
+    def verified(self, i: int, places: list[int], codes: np.ndarray) -> tuple[int, int, int] | None:
+        """The best passage for an item around its candidate windows; windows that overlap are searched as one."""
+        item, most = self.coded[i], self.allowed[i]
+        for x in places:
+            if np.array_equal(codes[x : x + len(item)], item):
+                return 0, x, x + len(item)
+        regions: list[list[int]] = []
+        for x in places:
+            low, high = max(0, x - most), min(len(codes), x + len(item) + most)
+            # a window's own count of the item's words refuses most candidates
+            if np.isin(codes[low:high], item).sum() < len(item) - most:
+                continue
+            if regions and low <= regions[-1][1]:
+                regions[-1][1] = high
+            else:
+                regions.append([low, high])
+        best = None
+        for low, high in regions:
+            got = best_passage(item.tolist(), codes[low:high].tolist(), most)
+            if got and (best is None or (got[0], got[1] + low) < best[:2]):
+                best = got[0], got[1] + low, got[2] + low
+        return best
+
+
+class Group:
+    """Blocks of items that are looked for together."""
+
+    def __init__(self, blocks: list[list[tuple[int, list[bytes]]]]):
+        self.ids: dict[bytes, int] = {}
+        for block in blocks:
+            for _, w in block:
+                for x in w:
+                    self.ids.setdefault(x, len(self.ids) + 1)
+        self.indexes = [Index(b, self.ids) for b in blocks]
+        self.base = len(self.ids) + 1
+        seen = [c[:-1] * self.base + c[1:] for x in self.indexes for c in x.coded]
+        self.pairs = np.unique(np.concatenate([*seen, np.array([-1])]))
+        self.least = min((min(x.n - x.lost, x.n) for x in self.indexes), default=1)
+
+    def search(self, text: str | None) -> Iterator[tuple[int, int, int, int]]:
+        """(item, errors, first word, word after the last)."""
+        w = words(text)
+        codes = np.fromiter(map(self.ids.get, w, repeat(0)), np.int64, len(w))
+        is_known = codes > 0
+        if is_known.sum() < self.least:
+            return
+        known = np.append(0, np.cumsum(is_known))
+        pair = codes[:-1] * self.base + codes[1:]
+        both = is_known[:-1] & is_known[1:]
+        hit = np.zeros(len(pair), bool)
+        some = pair[both]
+        hit[both] = self.pairs[np.minimum(np.searchsorted(self.pairs, some), len(self.pairs) - 1)] == some
+        pairs = np.append(0, np.cumsum(hit))
+        for x in self.indexes:
+            for i, (e, a, b) in x.hits(codes, known, pairs).items():
+                yield x.names[i], e, a, b
+
 
 def _blocks(items: DataFrame, item_id: str, text_col: str) -> Iterator[list[tuple[int, list[bytes]]]]:
     """Items of similar length together, so that the shortest of a block is close to all of it."""
@@ -168,13 +194,11 @@ def contaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text
         shared = spark.sparkContext.broadcast(group)  # at most BLOCK_BYTES of items a block
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            indexes = [Index(b) for b in shared.value]
+            items = Group(shared.value)
             for batch in batches:
                 out: list[tuple] = []
                 for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                    w = words(text)
-                    for x in indexes:
-                        out += [(doc_id, x.items[i][0], e, a, b) for i, (e, a, b) in x.hits(w).items()]
+                    out += [(doc_id, *x) for x in items.search(text)]
                 cols = list(zip(*out, strict=True)) or [()] * 5
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["doc_id", "item_id", "errors", "first_word", "last_word"])
 
