@@ -15,6 +15,7 @@ are packed like any other row.  An empty table gives no rows.
 from __future__ import annotations
 
 import zlib
+from array import array
 from collections.abc import Iterator
 from math import ceil
 
@@ -46,10 +47,25 @@ class Words(dict):
         from tokenizers import Tokenizer
 
         super().__init__()
-        self.encode = Tokenizer.from_file(path).encode
+        tokenizer = Tokenizer.from_file(path)
+        self.encode, self.merge = tokenizer.encode, tokenizer.model.tokenize
+        # the usual byte alphabet of such vocabularies: printable Latin-1 stands for itself, the rest is shifted
+        plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        shifted = {b: chr(256 + k) for k, b in enumerate(x for x in range(256) if x not in plain)}
+        self.alphabet = [shifted.get(b, chr(b)) for b in range(256)]
 
     def __missing__(self, word: str) -> bytes:
-        ids = np.array(self.encode(word, add_special_tokens=False).ids, dtype="<u4").tobytes() if word else b""
+        # the tokenizer lowers letters and ends a piece where letters meet marks, so a word's ids are those of
+        # its lowered form, and of its letters and its closing marks, one after the other; a word of lowered
+        # Latin letters is a single piece, which goes straight to the merges
+        body = word.rstrip(".,;:!?%*$#&|")
+        if body != word and body[-1:].isalpha() and "<|" not in word:
+            ids = self[body] + self[word[len(body) :]]
+        elif word.isalpha() and max(word) < "\u0100":
+            low = word.lower()
+            ids = self[low] if low != word else array("I", [x.id for x in self.merge("".join(map(self.alphabet.__getitem__, word.encode())))]).tobytes()
+        else:
+            ids = np.array(self.encode(word, add_special_tokens=False).ids, dtype="<u4").tobytes() if word else b""
         if len(self) >= self.LIMIT:
             self.clear()
         self[word] = ids
