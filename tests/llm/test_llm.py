@@ -372,6 +372,24 @@ def test_html_unmarked_hosts(spark):
         assert got[i] == (own if i % 2 else f"{menu.replace('our', str(i))}\n{own}")
 
 
+def prose(seed, n):
+    rng = random.Random(seed)
+    return " ".join("".join(rng.choice("bdfgklmnprst") + rng.choice("aeiou") for _ in range(3)) for _ in range(n))
+
+
+@pytest.mark.parametrize("mark", ["<article>{}</article>", "<div id=content>{}</div>", "<div class='post main'>{}</div>"])
+def test_html_repeated_within_marked(spark, mark):
+    """A notice that a host repeats inside its articles goes; copies, edited copies and rare quotations stay."""
+    notice, quote = prose("notice", 12), prose("quote", 15)
+    own = {i: [prose(i, 40), prose(f"end {i}", 30)] for i in range(50)}
+    own |= {i: [prose("copy", 60), prose(f"last {i}" if i > 60 else "last", 10)] for i in range(50, 70)}
+    own[3][0] += f" {quote} {prose('x', 9)}"
+    own[4][0] = f"{prose('y', 9)} {quote} {own[4][0]}"
+    pages = [(i, f"http://h.example/{i}", f"<body>{mark.format(''.join(f'<p>{x}</p>' for x in [p[0], notice, p[1]]))}</body>") for i, p in own.items()]
+    got = {r["page_id"]: r["text"] for r in html.main_text(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
+    assert got == {i: "\n".join(p) for i, p in own.items()}
+
+
 def test_suffix_ranks():
     rng = np.random.default_rng(5)
     s = rng.integers(0, 3, 200).astype(np.uint64)
