@@ -377,7 +377,7 @@ def prose(seed, n):
     return " ".join("".join(rng.choice("bdfgklmnprst") + rng.choice("aeiou") for _ in range(3)) for _ in range(n))
 
 
-@pytest.mark.parametrize("mark", ["<article>{}</article>", "<div id=content>{}</div>", "<div class='post main'>{}</div>"])
+@pytest.mark.parametrize("mark", ["<article>{}</article>", "<div id=content>{}</div>", "<div class='post main'>{}</div>", "<div>{}</div>"])
 def test_html_repeated_within_marked(spark, mark):
     """A notice that a host repeats inside its articles goes; copies, edited copies and rare quotations stay."""
     notice, quote = prose("notice", 12), prose("quote", 15)
