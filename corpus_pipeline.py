@@ -19,8 +19,8 @@ def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without the boilerplate lines of their source; n_chars follows the text."""
-    return linededup.drop_boilerplate(docs, counts=False).selectExpr(*[f"cast(length(text) as bigint) AS {c}" if c == "n_chars" else c for c in docs.columns])
+    """Documents without the boilerplate lines of their source, near-duplicates counting once; n_chars follows the text."""
+    return linededup.drop_boilerplate(docs, counts=False, classes=neardup.near_duplicates(docs)).selectExpr(*[f"cast(length(text) as bigint) AS {c}" if c == "n_chars" else c for c in docs.columns])
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

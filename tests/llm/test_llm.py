@@ -406,6 +406,16 @@ def test_line_dedup(spark):
     assert got[95]["text"] == "story 95\n\nfoot 2"
 
 
+def test_line_dedup_of_copies(spark):
+    """Copies of a document do not turn its lines into boilerplate; what other documents repeat still goes."""
+    text = lambda i: f"menu of the site\n{prose(i, 60)}\n{prose(f'end {i}', 30)}"
+    rows = [(i, text("copy" if i < 3 else i), "few") for i in range(20)]
+    rows += [(100 + i, text("large") + (f"\nnear {i}" if i % 2 else "") if i < 20 else text(100 + i), "many") for i in range(60)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = {r["doc_id"]: r["text"] for r in linededup.drop_boilerplate(frame, classes=neardup.near_duplicates(frame), counts=False).collect()}
+    assert got == {i: t.removeprefix("menu of the site\n") for i, t, _ in rows}
+
+
 def test_pipeline(spark, data):
     import corpus_pipeline as p
 

@@ -9,7 +9,9 @@ A page with L lines adds L to the sum of all shares, so a site has fewer than (m
 an outer join on the site, which Spark broadcasts or, where a hot site is skewed, splits.
 
 Defined results.  A null text stays null with no lines.  A null site is a site of its own.  A line repeated
-in one page counts once for the page; every copy of it is dropped.  Repeated rows are separate pages.
+in one page counts once for the page; every copy of it is dropped.  Repeated rows are separate pages, unless
+``classes`` tells which documents are copies: the documents of a class then count as one page of their site, so
+that copies do not turn their own text into boilerplate.
 Pages whose every line goes keep their row, with an empty text.
 """
 
@@ -29,20 +31,26 @@ def _lines(text: F.Column) -> F.Column:
     return F.split(text, "\n", -1)
 
 
-def boilerplate_lines(docs: DataFrame, max_ratio: float = 0.05, min_pages: int = 3, site_col: str = "source", text_col: str = "text") -> DataFrame:
-    """(site, line_key, pages, site_pages) of the lines to drop."""
-    per_page = docs.select(
-        F.col(site_col).alias("site"),
-        F.array_distinct(F.transform(F.filter(_lines(F.col(text_col)), lambda x: F.trim(x, F.lit(_BLANKS)) != ""), _line_key)).alias("keys"),
-    )
-    held = per_page.select("site", F.explode("keys").alias("line_key")).groupBy("site", "line_key").agg(F.count("*").alias("pages")).where(F.col("pages") >= min_pages)
-    sites = docs.groupBy(F.col(site_col).alias("of")).agg(F.count("*").alias("site_pages"))
+def boilerplate_lines(docs: DataFrame, max_ratio: float = 0.05, min_pages: int = 3, site_col: str = "source", text_col: str = "text", classes: DataFrame | None = None, id_col: str = "doc_id") -> DataFrame:
+    """(site, line_key, pages, site_pages) of the lines to drop; ``classes``: (doc_id, component_id)."""
+    keys = F.array_distinct(F.transform(F.filter(_lines(F.col(text_col)), lambda x: F.trim(x, F.lit(_BLANKS)) != ""), _line_key))
+    per_page = docs.select(F.col(site_col).alias("site"), keys.alias("keys"), *([F.col(id_col).cast("long").alias("__id"), F.xxhash64(text_col).alias("__own")] if classes is not None else []))
+    if classes is None:
+        lines, pages = per_page.select("site", F.explode("keys").alias("line_key")), per_page.select("site")
+    else:
+        of = classes.where("doc_id is not null").groupBy(F.col("doc_id").alias("__id")).agg(F.min("component_id").alias("class"))
+        # a document without an id has no class but its text
+        per_page = per_page.join(of, "__id", "left").select("site", "keys", F.coalesce("class", "__own").alias("class"))
+        lines = per_page.select("site", "class", F.explode("keys").alias("line_key")).distinct()
+        pages = per_page.select("site", "class").distinct()
+    held = lines.groupBy("site", "line_key").agg(F.count("*").alias("pages")).where(F.col("pages") >= min_pages)
+    sites = pages.groupBy(F.col("site").alias("of")).agg(F.count("*").alias("site_pages"))
     return held.join(sites, F.col("site").eqNullSafe(F.col("of"))).where(F.col("pages") > F.lit(max_ratio) * F.col("site_pages")).select("site", "line_key", "pages", "site_pages")
 
 
-def drop_boilerplate(docs: DataFrame, max_ratio: float = 0.05, min_pages: int = 3, site_col: str = "source", text_col: str = "text", counts: bool = True) -> DataFrame:
+def drop_boilerplate(docs: DataFrame, max_ratio: float = 0.05, min_pages: int = 3, site_col: str = "source", text_col: str = "text", counts: bool = True, classes: DataFrame | None = None) -> DataFrame:
     """``docs`` with the text cleaned; ``counts`` adds n_lines and n_dropped (blank lines left out)."""
-    lists = boilerplate_lines(docs, max_ratio, min_pages, site_col, text_col).groupBy(F.col("site").alias("__site")).agg(F.collect_set("line_key").alias("__drop"))
+    lists = boilerplate_lines(docs, max_ratio, min_pages, site_col, text_col, classes).groupBy(F.col("site").alias("__site")).agg(F.collect_set("line_key").alias("__drop"))
     joined = docs.join(lists, F.col(site_col).eqNullSafe(F.col("__site")), "left").withColumn("__lines", _lines(F.col(text_col)))
     some = F.col("__drop").isNotNull()
     kept = F.when(some, F.filter("__lines", lambda x: (F.trim(x, F.lit(_BLANKS)) == "") | ~F.array_contains(F.col("__drop"), _line_key(x)))).otherwise(F.col("__lines"))
