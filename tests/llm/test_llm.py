@@ -126,6 +126,17 @@ def test_pii_base(spark, docs):
         assert set(listed.split(",")) - {""} <= set(r["spans"].split(","))
 
 
+def test_pii_spelled_prefilter(spark):
+    """Every match of the generator passes its prefilter."""
+    pattern = next(p for name, _, p in pii.GENERATORS if name == "spelled_email")
+    texts = ["john.doe@example dot com", "john@example[dot]com", "john@example (dot) org", "john at  example.com", "JOHN AT EXAMPLE DOT COM", "john(at)example.com", "john @ example.com", "x" * 64 + "at example.com"]
+    rng = random.Random(9)
+    texts += ["".join(rng.choice(("jo", " ", "at", "@", "(", ")", "ex", ".", "dot", "com")) for _ in range(12)) for _ in range(3000)]
+    frame = spark.createDataFrame([(t,) for t in texts], "text string").where(F.col("text").rlike(pattern))
+    assert frame.count() > 50
+    assert [r["text"] for r in frame.where(~F.col("text").rlike(pii.SPELLED)).collect()] == []
+
+
 def test_pii_added_and_redaction(spark):
     text = "mail joe (at) foo dot com, call (555) 123-4567, ssn 123-45-6789. On 2024-05-01 order 12345-67."
     row = spark.createDataFrame([(1, text)], "doc_id long, text string")

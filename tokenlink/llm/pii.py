@@ -47,6 +47,8 @@ GENERATORS = (
     ("dotted_card", "card", r"(?<![0-9.])[0-9]{4}[._/][0-9]{4}[._/][0-9]{4}[._/][0-9]{1,7}+(?![0-9])"),
     ("ipv6", "ip", r"(?i)(?<![0-9a-z:])[0-9a-f]{1,4}+(?::{1,2}[0-9a-f]{1,4}+){3,7}+(?![0-9a-z:])"),
 )
+#: What every match of the first generator holds: its part from the "at" on, after a blank, a bracket or the longest name.
+SPELLED = r"(?i)(?:@|(?:[ \[({<]|[a-z0-9._%+-]{64})at) ?[\])}>]? ?[a-z0-9-]{2,63}+(?:\.[a-z0-9-]| ?[\[({<]? ?dot)"
 _KINDS = ("email", "ip", "card", "phone", "ssn", "iban")
 PRECISION = 0.98
 _CONTEXT = 28
@@ -216,9 +218,8 @@ def find_spans(docs: DataFrame, text_col: str = "text") -> DataFrame:
         scored = F.transform(featured, lambda x: record(x, kind, models[name].column(x["f"])))
         return F.when(worth.get(name, digit), F.filter(scored, lambda x: x["score"] >= cuts[name])).otherwise(none)
 
-    # what every match of the generator holds, cheaper to look for
-    spelled = r"(?i)[\[({<] ?(?:at|@)|(?:at|@) ?[\])}>]| @|@ | at [a-z0-9-]{2,63}+(?:\.[a-z0-9-]| ?[\[({<]? ?dot)"
-    worth = {"spelled_email": text.rlike(spelled), "ipv6": F.instr(text, ":") > 0}
+    # cheaper to look for than the generators
+    worth = {"spelled_email": text.rlike(SPELLED), "ipv6": F.instr(text, ":") > 0}
     base, added = [checked(*x) for x in BASE.items()], [selected(*x) for x in GENERATORS]
     over = lambda a, b: (a["start"] < b["end"]) & (b["start"] < a["end"])
     better = lambda a, b: (a["score"] > b["score"]) | ((a["score"] == b["score"]) & (F.struct(a["start"], a["rank"], a["end"]) < F.struct(b["start"], b["rank"], b["end"])))
