@@ -363,53 +363,11 @@ def test_decontamination(spark, docs):
     assert decontamination.clean(frame, bench).count() == 300 - len({d for d, _ in got})
 
 
-PAGE = """<!DOCTYPE html><html><head><title>T</title><script>var t="</p>";</script></head><body><nav><a>Home</a></nav>
-<div class="ad">Buy &amp; sell</div><article><h1>Title &amp;amp</h1><p><b>One  two<br>three<p>Four&nbsp;five</p><div class="comments"><p>First!</p></div><form>Mail <input></form><ul><li>x<li>y</ul></article><aside>more</aside><footer>&copy; us</footer>"""
-
-
-def test_html_marked():
-    assert html.parsed(PAGE)[0] == "Title &amp\nOne two three\nFour five\nx\ny"
-    assert html.parsed("<p>a</p>tail <b>b")[1] == ["a", "tail b"]
-    assert html.parsed(None) == (None, [], []) and html.parsed("a < b & c")[1] == ["a < b & c"]
-
-
-def test_html_unmarked_hosts(spark):
-    """Runs that two pages of a host share go; what is unique stays; other hosts do not matter."""
-    menu = "welcome to our site please read our very long terms of use"
-    pages = [(i, f"http://h{i % 2}.example/{i}", f"<body><div>{menu if i % 2 else menu.replace('our', str(i))}</div><p>story number {i} tells {i * 7} things about topic {i * 13} alone</p></body>") for i in range(40)]
-    got = {r["page_id"]: r["text"] for r in html.main_text(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
-    for i in range(40):
-        own = f"story number {i} tells {i * 7} things about topic {i * 13} alone"
-        assert got[i] == (own if i % 2 else f"{menu.replace('our', str(i))}\n{own}")
-
-
 def prose(seed, n):
     rng = random.Random(seed)
     return " ".join("".join(rng.choice("bdfgklmnprst") + rng.choice("aeiou") for _ in range(3)) for _ in range(n))
 
 
-@pytest.mark.parametrize("mark", ["<article>{}</article>", "<div id=content>{}</div>", "<div class='post main'>{}</div>", "<div>{}</div>"])
-def test_html_repeated_within_marked(spark, mark):
-    """A notice that a host repeats inside its articles goes; copies, edited copies and rare quotations stay."""
-    notice, quote = prose("notice", 12), prose("quote", 15)
-    own = {i: [prose(i, 40), prose(f"end {i}", 30)] for i in range(50)}
-    own |= {i: [prose("copy", 60), prose(f"last {i}" if i > 60 else "last", 10)] for i in range(50, 70)}
-    own[3][0] += f" {quote} {prose('x', 9)}"
-    own[4][0] = f"{prose('y', 9)} {quote} {own[4][0]}"
-    pages = [(i, f"http://h.example/{i}", f"<body>{mark.format(''.join(f'<p>{x}</p>' for x in [p[0], notice, p[1]]))}</body>") for i, p in own.items()]
-    got = {r["page_id"]: r["text"] for r in html.main_text(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
-    assert got == {i: "\n".join(p) for i, p in own.items()}
-
-
-def test_suffix_ranks():
-    rng = np.random.default_rng(5)
-    s = rng.integers(0, 3, 200).astype(np.uint64)
-    rank = html.suffix_ranks(s, 7)
-    prefix = [tuple(s[i : i + 7].tolist()) for i in range(200)]
-    order = sorted(set(prefix))
-    assert [order.index(p) for p in prefix] == rank.tolist()
-
-
 def test_line_dedup(spark):
     rows = [(i, f"menu\nstory {i}\n\n menu \nfoot {i % 3}", "a" if i < 90 else "b") for i in range(100)]
     got = {r["doc_id"]: r for r in linededup.drop_boilerplate(spark.createDataFrame(rows, "doc_id long, text string, source string"), 0.5, 3).collect()}
