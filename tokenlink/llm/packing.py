@@ -59,7 +59,8 @@ class Words(dict):
         # its lowered form, and of its letters and its closing marks, one after the other; a word of lowered
         # Latin letters is a single piece, which goes straight to the merges
         body = word.rstrip(".,;:!?%*$#&|")
-        if body != word and body[-1:].isalpha() and "<|" not in word:
+        # a lowered letter may end in a combining mark, which would join the marks that follow
+        if body != word and body[-1:].lower().isalpha() and "<|" not in word:
             ids = self[body] + self[word[len(body) :]]
         elif word.isalpha() and max(word) < "\u0100":
             low = word.lower()
