@@ -270,6 +270,28 @@ def test_packing_round_trip(spark, docs):
     assert sum(map(len, whole.values())) == sum(map(len, ids.values()))
 
 
+def test_word_ids_are_the_tokenizers():
+    """Looking words up gives the tokenizer's ids, whatever the text."""
+    from tokenizers import Tokenizer
+
+    tokenizer, words, rng = Tokenizer.from_file(packing.vocabulary_path()), packing.Words(packing.vocabulary_path()), random.Random(12)
+    pools = ["abcXYZ", "İIıiÉéßẞΣσςŉǰΐﬁﬀ", "\u0307\u0301\u0300\u0345\u200d\u200c\xad", "0123456789²³½٣", "'.,;:!?%*$#&|<>()-_=+/\\\"`~@[]{}^", " \n\t\r\x0b\x0c\x1c\x85\xa0\u2003\u3000\u2028", "中文日本かな한국", "😀👍🏽🇩🇪", "ªµºʰˀ", "<|endoftext|>", "ΑΒΓДЖЙйё", "אبہक\u093f힣\uffff\ufffd"]
+    letters = "".join(pools)
+
+    def text():
+        kind, n = rng.random(), rng.randint(0, 14)
+        if kind < 0.3:
+            return "".join(rng.choice(rng.choice(pools)) for _ in range(n))
+        if kind < 0.5:
+            return "".join(rng.choice(letters) for _ in range(n))
+        if kind < 0.7:
+            return "".join(chr(rng.choice((rng.randrange(32, 0x250), rng.randrange(0x250, 0x2000), rng.randrange(32, 127), rng.randrange(0x2000, 0xD7FF)))) for _ in range(n))
+        return " ".join("".join(rng.choice("abcdefİéÀ'") for _ in range(rng.randint(1, 6))) + rng.choice(("", ".", ",", "!?", "%*")) for _ in range(4))
+
+    for t in ["İ!", "xİ.", "İ\u0307!", *(text() for _ in range(100_000))]:
+        assert packing.token_bytes(t, words) == np.array(tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes(), ascii(t)
+
+
 def test_sum_of_squares_choice():
     """Each choice leaves the least sum of squared counts, by trying all of them."""
     rng = np.random.default_rng(3)
@@ -368,6 +390,49 @@ def prose(seed, n):
     return " ".join("".join(rng.choice("bdfgklmnprst") + rng.choice("aeiou") for _ in range(3)) for _ in range(n))
 
 
+def test_best_passage():
+    """The banded rows give the distance and place of a search over all passages."""
+    rng = np.random.default_rng(0)
+    for _ in range(200):
+        item, text = rng.integers(0, 5, rng.integers(1, 8)), rng.integers(0, 5, rng.integers(0, 15))
+        options = [(edits(item, text[i:j]), j, j - i) for j in range(len(text) + 1) for i in range(j + 1)]
+        errors, end, length = min(options)
+        assert decontamination.best_passage(item, text, len(item)) == (errors, end - length, end)
+        assert decontamination.best_passage(item, text, errors - 1) is None
+
+
+def edits(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        new = [i]
+        for j, y in enumerate(b, 1):
+            new.append(min(row[j] + 1, new[-1] + 1, row[j - 1] + (x != y)))
+        row = new
+    return row[-1]
+
+
+@pytest.mark.parametrize("n", [5, 12, 30, 40, 41, 75, 100, 300, 1000])
+def test_decontamination_recall(n):
+    """The target recall holds at every length and share of edits."""
+    for share in (0.05, 0.1, 0.15):
+        assert decontamination.miss(n, share, 40) <= 1 - decontamination.RECALL
+
+
+def test_decontamination_groups(spark, monkeypatch):
+    """Items beyond a group's size are looked for in further groups; long items, repeated rows and nulls included."""
+    items = {i: prose(f"item {i}", 20 + 90 * (i % 3)) for i in range(12)}
+    rows = [(d, f"{prose(f'a {d}', 40)} {items[d % 12]} {prose(f'b {d}', 40)}" if d % 3 else prose(f"clean {d}", 100)) for d in range(36)]
+    rows += [rows[1], (None, items[0]), (99, None), (100, "")]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    bench = spark.createDataFrame([*items.items(), (77, None), (78, " ")], "item_id long, text string")
+    expected = sorted([(d, d % 12, 0, 40, 40 + 20 + 90 * (d % 12 % 3)) for d in range(36) if d % 3] + [(1, 1, 0, 40, 150)])
+    for limit in (1 << 20, 800):
+        monkeypatch.setattr(decontamination, "GROUP_BYTES", limit)
+        got = sorted(map(tuple, decontamination.contaminated(frame, bench).where("doc_id is not null").collect()))
+        assert got == expected
+    assert decontamination.clean(frame, bench).count() == 12 + 3
+
+
 def test_line_dedup(spark):
     rows = [(i, f"menu\nstory {i}\n\n menu \nfoot {i % 3}", "a" if i < 90 else "b") for i in range(100)]
     got = {r["doc_id"]: r for r in linededup.drop_boilerplate(spark.createDataFrame(rows, "doc_id long, text string, source string"), 0.5, 3).collect()}
