@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from tokenlink.llm import decontamination, html, licenses, linededup, neardup, packing, pii, quality, rules, sharding
+from tokenlink.llm import decontamination, html, licenses, linededup, neardup, packing, pii, quality, rules, scratch, sharding
 from tokenlink.llm.scratch import table
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, shard string, bucket string, n_words string, score string, comp string"
@@ -433,8 +433,11 @@ def test_decontamination_groups(spark, monkeypatch):
     assert decontamination.clean(frame, bench).count() == 12 + 3
 
 
-def test_line_dedup(spark):
-    rows = [(i, f"menu\nstory {i}\n\n menu \nfoot {i % 3}", "a" if i < 90 else "b") for i in range(100)]
+@pytest.mark.parametrize("limit", [64 << 20, -1])
+def test_line_dedup(spark, monkeypatch, limit):
+    """Whether the lists are broadcast or joined in shares."""
+    monkeypatch.setattr(scratch, "BROADCAST_BYTES", limit)
+    rows = [(i, f"menu\nstory {i}\n\n menu \nfoot {i % 3}", "a" if i < 90 else None) for i in range(100)]
     got = {r["doc_id"]: r for r in linededup.drop_boilerplate(spark.createDataFrame(rows, "doc_id long, text string, source string"), 0.5, 3).collect()}
     assert got[0]["text"] == "story 0\n\nfoot 0" and (got[0]["n_lines"], got[0]["n_dropped"]) == (4, 2)
     assert got[95]["text"] == "story 95\n\nfoot 2"

@@ -5,14 +5,17 @@ For every site the pages that hold a line are divided by the pages of the site;
 Lines are compared after trimming blanks; blank lines are never counted and never dropped.
 
 A page with L lines adds L to the sum of all shares, so a site has fewer than (mean lines a page) /
-``max_ratio`` boilerplate lines, whatever its size: the lists stay short, and they are attached to pages by
-an outer join on the site, which Spark broadcasts or, where a hot site is skewed, splits.
+``max_ratio`` boilerplate lines, whatever its size: the lists stay short.  They are written and measured before
+they meet the pages: broadcast up to a fixed size, so that texts are never shuffled, and beyond it joined with
+every site cut into shares, so that no task holds a hot site.
 
 Defined results.  A null text stays null with no lines.  A null site is a site of its own.  A line repeated
 in one page counts once for the page; every copy of it is dropped.  Repeated rows are separate pages, unless
 ``classes`` tells which documents are copies: the documents of a class then count as one page of their site, so
 that copies do not turn their own text into boilerplate.
-Pages whose every line goes keep their row, with an empty text.
+Pages whose every line goes keep their row, with an empty text.  An empty table gives no rows.  A very long text is
+one row like any other.  Further columns pass unchanged; columns named ``n_lines`` or ``n_dropped`` are replaced
+where counts are asked for, and names beginning with two underscores are kept free.
 """
 
 from __future__ import annotations
@@ -20,6 +23,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .scratch import attach
+
 _BLANKS = " \t\x0b\x0c\r"
 
 
@@ -45,13 +50,13 @@ def boilerplate_lines(docs: DataFrame, max_ratio: float = 0.05, min_pages: int =
         pages = per_page.select("site", "class").distinct()
     held = lines.groupBy("site", "line_key").agg(F.count("*").alias("pages")).where(F.col("pages") >= min_pages)
     sites = pages.groupBy(F.col("site").alias("of")).agg(F.count("*").alias("site_pages"))
-    return held.join(sites, F.col("site").eqNullSafe(F.col("of"))).where(F.col("pages") > F.lit(max_ratio) * F.col("site_pages")).select("site", "line_key", "pages", "site_pages")
+    return attach(held, sites, "site", "of", 64).where(F.col("pages") > F.lit(max_ratio) * F.col("site_pages")).select("site", "line_key", "pages", "site_pages")
 
 
 def drop_boilerplate(docs: DataFrame, max_ratio: float = 0.05, min_pages: int = 3, site_col: str = "source", text_col: str = "text", counts: bool = True, classes: DataFrame | None = None) -> DataFrame:
     """``docs`` with the text cleaned; ``counts`` adds n_lines and n_dropped (blank lines left out)."""
     lists = boilerplate_lines(docs, max_ratio, min_pages, site_col, text_col, classes).groupBy(F.col("site").alias("__site")).agg(F.collect_set("line_key").alias("__drop"))
-    joined = docs.join(lists, F.col(site_col).eqNullSafe(F.col("__site")), "left").withColumn("__lines", _lines(F.col(text_col)))
+    joined = attach(docs, lists, site_col, "__site", 64 + 8 * F.size("__drop")).withColumn("__lines", _lines(F.col(text_col)))
     some = F.col("__drop").isNotNull()
     kept = F.when(some, F.filter("__lines", lambda x: (F.trim(x, F.lit(_BLANKS)) == "") | ~F.array_contains(F.col("__drop"), _line_key(x)))).otherwise(F.col("__lines"))
     joined = joined.withColumn("__kept", kept)
