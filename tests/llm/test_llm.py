@@ -91,6 +91,55 @@ def test_sharding(docs):
     assert {(r["doc_id"], r["shard"]) for r in rows} != {(r["doc_id"], r["shard"]) for r in other}
 
 
+def test_shards_depend_on_rows_and_seed_alone(spark, docs):
+    """Other partitions, another order and another plan give the same permutation."""
+    rows = docs.union(docs.limit(0)).repartition(1).collect()
+    expected = sorted(map(tuple, sharding.assign_shards(docs, bucket_rows=16).collect()), key=str)
+    for parts, adaptive in ((7, "false"), (3, "true")):
+        spark.conf.set("spark.sql.shuffle.partitions", parts)
+        spark.conf.set("spark.sql.adaptive.enabled", adaptive)
+        try:
+            turned = spark.createDataFrame(rows[::-1], docs.schema).repartition(parts)
+            assert sorted(map(tuple, sharding.assign_shards(turned, bucket_rows=16).collect()), key=str) == expected
+        finally:
+            spark.conf.set("spark.sql.shuffle.partitions", 4)
+            spark.conf.set("spark.sql.adaptive.enabled", "true")
+
+
+def test_shards_by_hand(spark, docs):
+    """A textbook shuffle of every bucket, from the hashes that pass one wrote, gives the places."""
+    rows = docs.select(F.struct(F.col("doc_id").alias("id"), (F.coalesce(F.octet_length("text"), F.lit(0)).cast("long") + 1).alias("size"), F.crc32(F.coalesce("text", F.lit("")).cast("binary")).alias("crc")).alias("row"))
+    buckets = collections.defaultdict(list)
+    for r in sharding.scattered(rows, docs.count(), 16, 17).collect():
+        buckets[r["bucket"]].append((r["lot"], r["copy"], r["row"]["id"]))
+    places, at = {}, 0
+    for b in sorted(buckets):
+        own = [x[-1] for x in sorted(buckets[b])]
+        for chunk in range(0, len(own), 32):
+            part = own[chunk : chunk + 32]
+            ks = spark.range(len(part)).select(F.pmod(F.xxhash64(F.lit(19), F.lit(b).cast("long"), F.lit(chunk // 32).cast("long"), F.col("id").cast("int")), F.col("id") + 1)).collect()
+            for i, (j,) in enumerate(ks):
+                part[i], part[j] = part[j], part[i]
+            for x in part:
+                places[x] = at
+                at += 1
+    got = {r["doc_id"]: r["slot"] * 16 + r["shard"] for r in sharding.assign_shards(docs, bucket_rows=16).collect()}
+    assert got == places
+
+
+def test_shards_of_equal_rows(spark, monkeypatch):
+    """A row that makes up most of the table is dealt copy by copy."""
+    monkeypatch.setattr(sharding, "_COPIES", 8)
+    frame = spark.createDataFrame([(7, "same")] * 300 + [(None, None)] * 40 + [(i, f"t{i}") for i in range(60)], "doc_id long, text string")
+    rows = sharding.assign_shards(frame, 4, bucket_rows=16).collect()
+    by = collections.defaultdict(list)
+    for r in rows:
+        by[r["shard"]].append(r["slot"])
+    assert len(rows) == 400 and all(sorted(v) == list(range(100)) for v in by.values())
+    assert min(collections.Counter(r["shard"] for r in rows if r["doc_id"] == 7).values()) > 40
+    assert sharding.scattered(frame.select(F.struct("doc_id", "text").alias("row")), 400, 16, 1).groupBy("bucket").count().agg(F.max("count")).first()[0] < 40
+
+
 def test_shards_written(spark, docs, tmp_path):
     sharding.write_shards(docs, str(tmp_path / "out"), n_shards=4, bucket_bytes=1 << 16)
     back = spark.read.parquet(str(tmp_path / "out"))
