@@ -2,7 +2,8 @@
 
 Base patterns (email, ip, card, phone) are found leftmost and without overlap, each kind by itself, checked,
 and always kept.  Wider generators then propose further, possibly overlapping spans: spelled-out emails,
-phone numbers without a plus sign, national numbers, bank account numbers, dotted cards, IPv6 addresses.
+phone numbers without a plus sign, national numbers, bank account numbers, dotted cards, IPv6 addresses, and
+secrets: opaque strings such as keys and tokens.
 Boosted trees score them on format and on the words around them; a candidate stays if its calibrated
 probability reaches its kind's threshold and no base span or better candidate overlaps it.
 
@@ -10,10 +11,13 @@ The trees are fitted on the driver on candidates from seeded templates (a fixed
 features of those candidates come from the same expressions that score the corpus.  Half of the templates'
 rows are held out: they calibrate the probability and set thresholds at ``PRECISION``.
 
-Positions count code points, the end is exclusive.  Rows are handled one by one, without a shuffle.
+Positions count code points, the end is exclusive.  Rows are handled one by one, without a shuffle, and in time
+linear in a text and its spans: positions and the sweep over spans are running sums and maxima in blocks, and a
+candidate, whose length the generators bound, meets a bounded number of others.
 
-Defined results.  A null text is an empty text: no spans and the digest of the empty string.  Null ids,
-repeated rows, empty tables and further columns pass through unchanged.
+Defined results.  A null text is an empty text: no spans and the digest of the empty string; redaction leaves it
+null.  Null ids, ties and repeated rows are rows like any other, and an empty table gives none.  Further columns
+pass through unchanged; names beginning with two underscores are kept free.
 """
 
 from __future__ import annotations
@@ -40,18 +44,24 @@ RANK = {k: i for i, k in enumerate(BASE)}
 
 #: Generators of further candidates: name, kind, pattern.
 GENERATORS = (
-    ("spelled_email", "email", r"(?i)(?<![A-Za-z0-9._%+-])[a-z0-9._%+-]{2,64}+ ?[\[({<]? ?(?:at|@) ?[\])}>]? ?[a-z0-9-]{2,63}+(?:(?:\.| [\[({<]? ?dot ?[\])}>]? |[\[({<] ?dot ?[\])}>])[a-z0-9-]{2,63}+){1,3}+"),
+    ("spelled_email", "email", r"(?i)(?<![A-Za-z0-9._%+-])[a-z0-9._%+-]{2,64}+(?: ?[\[({<]? ?@|(?: | ?[\[({<] ?)at) ?[\])}>]? ?[a-z0-9-]{2,63}+(?:(?:\.| [\[({<]? ?dot ?[\])}>]? |[\[({<] ?dot ?[\])}>])[a-z0-9-]{2,63}+){1,3}+"),
     ("local_phone", "phone", r"(?<![0-9+.-])(?:\([0-9]{2,5}+\)|0?[0-9]{2,5}+)[\x20./-]{1,2}+[0-9]{2,4}+(?:[\x20./-][0-9]{2,5}+){1,3}+(?![0-9])"),
     ("national_id", "ssn", r"(?<![0-9-])[0-9]{3}[\x20-][0-9]{2}[\x20-][0-9]{4}(?![0-9-])"),
     ("account", "iban", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}+(?: ?[A-Z0-9]{1,3})?+(?![A-Za-z0-9])"),
     ("dotted_card", "card", r"(?<![0-9.])[0-9]{4}[._/][0-9]{4}[._/][0-9]{4}[._/][0-9]{1,7}+(?![0-9])"),
     ("ipv6", "ip", r"(?i)(?<![0-9a-z:])[0-9a-f]{1,4}+(?::{1,2}[0-9a-f]{1,4}+){3,7}+(?![0-9a-z:])"),
+    ("secret", "secret", r"(?<![A-Za-z0-9_/+-])(?=[A-Za-z_/+-]*+[0-9])[A-Za-z0-9_/+-]{20,128}+={0,2}(?![A-Za-z0-9_/+=-])"),
 )
-#: What every match of the first generator holds: its part from the "at" on, after a blank, a bracket or the longest name.
-SPELLED = r"(?i)(?:@|(?:[ \[({<]|[a-z0-9._%+-]{64})at) ?[\])}>]? ?[a-z0-9-]{2,63}+(?:\.[a-z0-9-]| ?[\[({<]? ?dot)"
-_KINDS = ("email", "ip", "card", "phone", "ssn", "iban")
+#: What every match of the first generator holds: its part from the "at" on, which follows a blank or a bracket.
+SPELLED = r"(?:@|[ \[({<][aA][tT]) ?[\])}>]? ?[A-Za-z0-9-]{2,63}+(?:\.[A-Za-z0-9-]| ?[\[({<]? ?[dD][oO][tT])"
+_KINDS = ("email", "ip", "card", "phone", "ssn", "iban", "secret")
 PRECISION = 0.98
 _CONTEXT = 28
+#: Elements that a running sum or maximum takes in one go.
+_RUN = 128
+#: No candidate is longer than 400 or shorter than 7 code points and those of a generator are apart, so that a
+#: candidate overlaps fewer others than this.
+_NEIGHBOURS = 7 * (400 // 7 + 2)
 
 
 def _let(value: Column, use) -> Column:
@@ -59,23 +69,34 @@ def _let(value: Column, use) -> Column:
     return F.get(F.transform(F.array(value), use), F.lit(0))
 
 
+def _running(values: Column, op) -> Column:
+    """op over each prefix of an array of ints."""
+
+    def over(own: Column) -> Column:
+        put = lambda acc, x: F.concat(acc, F.array(F.when(F.size(acc) > 0, op(F.element_at(acc, -1), x)).otherwise(x)))
+        return F.aggregate(own, F.expr("cast(array() as array<int>)"), put)
+
+    def joined(local: Column) -> Column:
+        heads = over(F.transform(local, lambda b: F.element_at(b, -1)))
+        return _let(heads, lambda h: F.flatten(F.transform(local, lambda b, k: F.when(k == 0, b).otherwise(F.transform(b, lambda x: op(F.get(h, k - 1), x))))))
+
+    blocks = F.transform(F.sequence(F.lit(0), F.floor((F.size(values) - 1) / _RUN).cast("int")), lambda k: over(F.slice(values, k * _RUN + 1, F.lit(_RUN))))
+    return F.when(F.size(values) > 0, F.when(F.size(values) <= _RUN, over(values)).otherwise(_let(blocks, joined))).otherwise(F.expr("cast(array() as array<int>)"))
+
+
 def _located(text: Column, pattern: str) -> Column:
     """array<struct<start,end,match,left,right>>; positions are running sums over what a split leaves between matches."""
-    nothing = F.expr("struct(0 as at, cast(array() as array<struct<start:int,end:int,match:string,left:string,right:string>>) as spans)")
-
-    def add(acc: Column, x: Column) -> Column:
-        start = acc["at"] + F.length(x["b"])
-        end = start + F.length(x["m"])
-        span = F.struct(start.alias("start"), end.alias("end"), x["m"].alias("match"), F.right(x["b"], F.lit(_CONTEXT)).alias("left"), F.left(x["a"], F.lit(_CONTEXT)).alias("right"))
-        return F.struct(end.alias("at"), F.concat(acc["spans"], F.array(span)).alias("spans"))
+    nothing = F.expr("cast(array() as array<struct<start:int,end:int,match:string,left:string,right:string>>)")
 
     def spans(found: Column, between: Column) -> Column:
-        around = F.zip_with(F.slice(between, F.lit(1), F.size(found)), F.slice(between, F.lit(2), F.size(found)), lambda b, a: F.struct(b.alias("b"), a.alias("a")))
-        paired = F.zip_with(found, around, lambda m, x: F.struct(m.alias("m"), x["b"].alias("b"), x["a"].alias("a")))
-        return F.aggregate(paired, nothing, add, lambda acc: acc["spans"])
+        sizes = F.transform(found, lambda m, i: F.length(m) + F.length(F.get(between, i)))
+        span = lambda m, i, ends: F.struct(
+            (F.get(ends, i) - F.length(m)).alias("start"), F.get(ends, i).alias("end"), m.alias("match"), F.right(F.get(between, i), F.lit(_CONTEXT)).alias("left"), F.left(F.get(between, i + 1), F.lit(_CONTEXT)).alias("right")
+        )
+        return _let(_running(sizes, lambda a, b: a + b), lambda ends: F.transform(found, lambda m, i: span(m, i, ends)))
 
     def split(found: Column) -> Column:
-        return F.when(F.size(found) > 0, _let(F.split(text, pattern, -1), lambda between: spans(found, between))).otherwise(nothing["spans"])
+        return F.when(F.size(found) > 0, _let(F.split(text, pattern, -1), lambda between: spans(found, between))).otherwise(nothing)
 
     return _let(F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), split)
 
@@ -132,6 +153,12 @@ def _features(x: Column) -> Column:
         near("card|visa|mastercard|credit|karte|carte|tarjeta"),
         near("ip|ipv6|host|address|server|addr"),
         near("order|invoice|version|isbn|part|ref|date|page|room|total|score|serial|model|figure|section|chapter|since|from|sku|batch|lot"),
+        near("token|secret|password|passwd|pwd|api_key|apikey|api key|access_key|key|bearer|auth|authorization|credential|clave|schlüssel|jeton"),
+        near("commit|sha|md5|checksum|digest|hash|etag|file|path|url|image|src|href|class|revision"),
+        num(F.regexp_count(m, F.lit(r"[0-9][A-Za-z]"))),
+        num(F.regexp_count(m, F.lit(r"[/_+-]"))),
+        num(F.regexp_count(m, F.lit(r"[A-Z]"))),
+        num(F.size(F.array_distinct(F.split(m, "")))),
         num(x["left"].rlike(r"[\p{L}\p{N}]$")),
         num(x["right"].rlike(r"^[\p{L}\p{N}]")),
     )
@@ -148,6 +175,8 @@ def _examples(n: int, seed: int) -> list[dict]:
         total = sum(int(c) if i % 2 else (int(c) * 2 - 9 * (int(c) > 4)) for i, c in enumerate(reversed(body)))
         return body + str(-total % 10)
 
+    alnum = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    opaque = lambda alphabet, k: "".join(rng.choice(alphabet) for _ in range(k - 1)) + rng.choice("0123456789")
     four = lambda s, by: by.join(s[i : i + 4] for i in range(0, len(s), 4))
     good = {
         "spelled_email": (lambda: rng.choice(("{a} at {b} dot {c}", "{a} [at] {b} [dot] {c}", "{a}(at){b}.{c}", "{a} @ {b}.{c}", "{a} (at) {b} (dot) {c}")).format(a=word(), b=word(), c=rng.choice(("com", "org", "net", "de"))), ("email: ", "contact ", "mail ", "write to ", "")),
@@ -156,6 +185,7 @@ def _examples(n: int, seed: int) -> list[dict]:
         "account": (lambda: rng.choice("DE FR ES GB".split()) + four(digits(20), rng.choice(("", " "))), ("iban ", "IBAN: ", "account ", "bank ", "")),
         "dotted_card": (lambda: four(luhn(16), rng.choice("._/")), ("card ", "visa ", "credit card ", "")),
         "ipv6": (lambda: ":".join(f"{rng.randint(4096, 65535):x}" for _ in range(8)), ("host ", "ip ", "server ", "addr ", "")),
+        "secret": (lambda: rng.choice((lambda: opaque("0123456789abcdef", rng.choice((32, 40, 64))), lambda: opaque(alnum, rng.randint(20, 44)), lambda: rng.choice(("sk_live_", "ghp_", "AKIA")) + opaque(alnum, 24)))(), ('token = "', "token: ", 'api_key="', "key = ", "secret: ", "password=", "Authorization: Bearer ", "key: ")),
     }
     bad = {
         "spelled_email": (lambda: rng.choice(("{a} at {b} . {c}", "{a} at {b}.{c}", "{a} at {b} dot {c}")).format(a=word(), b=word(), c=word()), ("look ", "arrived ", "the ", "")),
@@ -164,6 +194,7 @@ def _examples(n: int, seed: int) -> list[dict]:
         "account": (lambda: rng.choice("ZZ XQ AB".split()) + four(digits(10), ""), ("serial ", "model ", "part ", "lot ", "batch ")),
         "dotted_card": (lambda: four(digits(16), rng.choice("._/")), ("serial ", "version ", "part ", "batch ", "ref ")),
         "ipv6": (lambda: ":".join(f"{rng.randint(10, 59)}" for _ in range(rng.choice((4, 5)))), ("score ", "from ", "total ", "section ", "")),
+        "secret": (lambda: rng.choice((lambda: "/".join(word() for _ in range(5)) + digits(2), lambda: "_".join(word() for _ in range(4)) + "_" + digits(4), lambda: "-".join((digits(4), digits(2), digits(2), digits(6), digits(6))), lambda: opaque("0123456789abcdef", rng.choice((32, 40, 64))), lambda: digits(24)))(), ("file ", "path ", "commit ", "sha256: ", "md5 = ", "see ", "image ", "")),
     }
     out = []
     for i in range(n):
@@ -199,10 +230,12 @@ def fitted(spark: SparkSession, n: int = 120, seed: int = 5) -> tuple[dict[str,
 
 
 def find_spans(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """``docs`` with ``base`` and ``added``, arrays of (start, rank, end, kind, score), sorted."""
+    """``docs`` with ``__base`` and ``__added``, arrays of (start, rank, end, kind, score), sorted."""
     text = F.coalesce(F.col(text_col), F.lit(""))
     models, cuts = fitted(docs.sparkSession)
-    digit = text.rlike("[0-9]")
+    # cheaper to look for than the patterns, and computed once
+    docs = docs.withColumn("__digit", text.rlike("[0-9]")).withColumn("__spelled", text.rlike(SPELLED))
+    digit = F.col("__digit")
     may = {"email": F.instr(text, "@") > 0, "ip": digit, "card": digit, "phone": F.instr(text, "+") > 0}
     none = F.expr("cast(array() as array<struct<start:int,rank:int,end:int,kind:string,score:double>>)")
 
@@ -218,16 +251,39 @@ def find_spans(docs: DataFrame, text_col: str = "text") -> DataFrame:
         scored = F.transform(featured, lambda x: record(x, kind, models[name].column(x["f"])))
         return F.when(worth.get(name, digit), F.filter(scored, lambda x: x["score"] >= cuts[name])).otherwise(none)
 
-    # cheaper to look for than the generators
-    worth = {"spelled_email": text.rlike(SPELLED), "ipv6": F.instr(text, ":") > 0}
+    worth = {"spelled_email": F.col("__spelled"), "ipv6": digit & (F.instr(text, ":") > 0)}
     base, added = [checked(*x) for x in BASE.items()], [selected(*x) for x in GENERATORS]
-    over = lambda a, b: (a["start"] < b["end"]) & (b["start"] < a["end"])
+    found = docs.withColumn("__base", F.array_sort(F.concat(*base))).withColumn("__wide", F.array_sort(F.array_distinct(F.concat(*added))))
+    found = found.withColumn("__wide", F.when((F.size("__wide") > 0) & (F.size("__base") > 0), _apart(F.col("__wide"), F.col("__base"))).otherwise(F.col("__wide")))
+    return found.withColumn("__added", F.when(F.size("__wide") > 1, _best(F.col("__wide"))).otherwise(F.col("__wide"))).drop("__wide", "__digit", "__spelled")
+
+
+def _over(a: Column, b: Column) -> Column:
+    return (a["start"] < b["end"]) & (b["start"] < a["end"])
+
+
+def _apart(wide: Column, base: Column) -> Column:
+    """The candidates that no base span overlaps: a sweep over both by start, base first."""
+    tagged = lambda spans, own: F.transform(spans, lambda x: F.struct(x["start"].alias("start"), F.lit(own).alias("own"), x.alias("span")))
+
+    def kept(merged: Column) -> Column:
+        reach = _running(F.transform(merged, lambda x: F.when(x["own"] == 0, x["span"]["end"]).otherwise(0)), lambda a, b: F.greatest(a, b))
+
+        def free(reach: Column) -> Column:
+            later = lambda x, k: F.exists(F.slice(merged, k + 2, F.lit(_NEIGHBOURS)), lambda y: (y["own"] == 0) & (y["start"] < x["span"]["end"]))
+            marked = F.transform(merged, lambda x, k: F.when((x["own"] == 1) & (F.get(reach, k) <= x["start"]) & ~later(x, k), x["span"]))
+            return F.filter(marked, lambda x: x.isNotNull())
+
+        return _let(reach, free)
+
+    return _let(F.array_sort(F.concat(tagged(base, 0), tagged(wide, 1))), kept)
+
+
+def _best(wide: Column) -> Column:
+    """The candidates, sorted, that no better one overlaps."""
     better = lambda a, b: (a["score"] > b["score"]) | ((a["score"] == b["score"]) & (F.struct(a["start"], a["rank"], a["end"]) < F.struct(b["start"], b["rank"], b["end"])))
-    found = docs.withColumn("base", F.array_sort(F.concat(*base))).withColumn("__wide", F.array_distinct(F.concat(*added)))
-    free = F.filter("__wide", lambda x: ~F.exists("base", lambda b: over(x, b)))
-    found = found.withColumn("__wide", F.when(F.size("__wide") > 0, free).otherwise(F.col("__wide")))
-    best = F.filter("__wide", lambda x: ~F.exists("__wide", lambda o: over(x, o) & better(o, x)))
-    return found.withColumn("added", F.array_sort(F.when(F.size("__wide") > 0, best).otherwise(F.col("__wide")))).drop("__wide")
+    around = lambda k: F.slice(wide, F.greatest(k + 1 - _NEIGHBOURS, F.lit(1)), F.lit(2 * _NEIGHBOURS))
+    return F.filter(F.transform(wide, lambda x, k: F.when(~F.exists(around(k), lambda o: _over(x, o) & better(o, x)), x)), lambda x: x.isNotNull())
 
 
 def _listed(spans: Column) -> Column:
@@ -236,22 +292,28 @@ def _listed(spans: Column) -> Column:
 
 def digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     found = find_spans(docs.select(id_col, text_col), text_col)
-    count = lambda kind: F.size(F.filter("base", lambda x: x["kind"] == kind)).cast("long").alias(f"n_{kind}")
+    count = lambda kind: F.size(F.filter("__base", lambda x: x["kind"] == kind)).cast("long").alias(f"n_{kind}")
     return found.select(
-        id_col, *map(count, BASE), F.sha2(_listed(F.col("base")), 256).alias("base_sha256"), _listed(F.array_sort(F.concat("base", "added"))).alias("spans")
+        id_col, *map(count, BASE), F.sha2(_listed(F.col("__base")), 256).alias("base_sha256"), _listed(F.array_sort(F.concat("__base", "__added"))).alias("spans")
     )
 
 
 def redact(docs: DataFrame, text_col: str = "text", mask: str = "[{}]") -> DataFrame:
-    """``docs`` with every span's characters replaced by its kind; of overlapping spans the first wins."""
-    found = find_spans(docs, text_col)
-    start = F.expr("struct(0 as at, cast('' as string) as done)")
-
-    def put(acc: Column, x: Column) -> Column:
-        gap = F.substring(F.col(text_col), acc["at"] + 1, x["start"] - acc["at"])
-        written = F.struct(x["end"].alias("at"), F.concat(acc["done"], gap, F.format_string(mask.replace("{}", "%s"), x["kind"])).alias("done"))
-        return F.when(x["start"] >= acc["at"], written).otherwise(acc)
-
-    spans = F.array_sort(F.concat("base", "added"))
-    cleaned = F.aggregate(spans, start, put, lambda acc: F.concat(acc["done"], F.substring(F.col(text_col), acc["at"] + 1, F.length(text_col))))
-    return found.select(*[F.when(F.size(spans) > 0, cleaned).otherwise(F.col(c)).alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])
+    """``docs`` with every span's characters replaced by its kind; overlapping spans are masked whole, as the first's kind."""
+    found, text = find_spans(docs, text_col), F.col(text_col)
+
+    def masked(spans: Column, reach: Column) -> Column:
+        # regions begin where no earlier span reaches; each holds what its spans reach
+        firsts = F.filter(F.sequence(F.lit(0), F.size(spans) - 1), lambda k: (k == 0) | (F.get(reach, k - 1) <= F.get(spans, k)["start"]))
+
+        def written(at: Column) -> Column:
+            since = lambda i: F.when(i == 0, F.lit(0)).otherwise(F.get(reach, F.get(at, i) - 1))
+            part = lambda k, i: F.concat(F.substring(text, since(i) + 1, F.get(spans, k)["start"] - since(i)), F.format_string(mask.replace("{}", "%s"), F.get(spans, k)["kind"]))
+            return F.concat(F.array_join(F.transform(at, part), ""), F.substring(text, F.element_at(reach, -1) + 1, F.length(text)))
+
+        return _let(firsts, written)
+
+    found = found.withColumn("__spans", F.array_sort(F.concat("__base", "__added")))
+    reach = _running(F.transform("__spans", lambda x: x["end"]), lambda a, b: F.greatest(a, b))
+    cleaned = F.when(F.size("__spans") > 0, _let(reach, lambda r: masked(F.col("__spans"), r))).otherwise(text)
+    return found.select(*[cleaned.alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])
