@@ -2,6 +2,7 @@ from __future__ import annotations
 
 import collections
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -261,6 +262,57 @@ def test_binomial_bound():
     assert abs(rules.binomial_upper(0, 100, 0.05) - (1 - 0.05 ** (1 / 100))) < 1e-9
     assert abs(rules.binomial_upper(5, 100, 0.05) - 0.1022537) < 1e-4
     assert rules.binomial_upper(3, 3, 0.05) == rules.binomial_upper(0, 0, 0.05) == 1.0
+    for n in (1, 7, 60, 500):
+        for k in range(0, n, max(1, n // 9)):
+            for p in (0.01, 0.05, 0.3, 0.9):
+                assert abs(rules.binomial_cdf(k, n, p) - sum(math.comb(n, i) * p**i * (1 - p) ** (n - i) for i in range(k + 1))) < 1e-9
+    assert 0.05 < rules.binomial_upper(50_000, 1_000_000, 0.05) < 0.0505
+
+
+def sampled(rng, n, chances):
+    """Counts of n rows: one in two is bad; ``chances`` gives for each rule how often a good and a bad row is rejected, and at which step."""
+    out = {}
+    for _ in range(n):
+        good = rng.random() < 0.5
+        first = tuple(rng.randrange(len(r[4])) if rng.random() < c[not good] else len(r[4]) for r, c in zip(rules.RULES, chances, strict=True))
+        g, b = out.get(first, (0, 0))
+        out[first] = (g + good, b + (not good))
+    return out
+
+
+def test_guarantee_of_the_whole_verdict():
+    """Over many draws, a verdict that truly rejects more than the risk is accepted no more often than the level."""
+    rng = random.Random(11)
+    chances = [(0.03, 0.3), (0.02, 0.2), (0.03, 0.1), (0.04, 0.2), (0.02, 0.2), (0.03, 0.3)]
+    broken = accepted = 0
+    for _ in range(150):
+        steps = rules.certified(sampled(rng, 500, chances), sampled(rng, 500, chances), 0.05, 0.1)
+        if steps:
+            accepted += 1
+            stays = math.prod(1 - c[0] * s / len(r[4]) for c, s, r in zip(chances, steps, rules.RULES, strict=True))
+            broken += 1 - stays > 0.05
+    assert accepted > 75 and broken <= 0.1 * 150 + 8
+
+
+def test_path_of_verdicts():
+    """Each verdict is stricter than the last, and the first takes the step with the most bad rows a good one."""
+    rng = random.Random(12)
+    counts = sampled(rng, 400, [(0.02, 0.3)] * len(rules.RULES))
+    steps = rules.path(counts, 0.5)
+    assert all(all(x <= y for x, y in zip(a, b, strict=True)) and a != b for a, b in zip(steps, steps[1:], strict=False))
+    options = [(r, k) for r, x in enumerate(rules.RULES) for k in range(1, len(x[4]) + 1)]
+    lost = lambda r, k, own: sum(n[own] for f, n in counts.items() if f[r] < k)
+    best = max(lost(r, k, 1) / (lost(r, k, 0) + 1) for r, k in options)
+    (r, k), = [(r, k) for r, k in enumerate(steps[0]) if k]
+    assert lost(r, k, 1) / (lost(r, k, 0) + 1) == best
+
+
+def test_verdict_on_given_labels(spark):
+    """On the given documents some bad text beyond the base rules goes, and good text stays within the risk."""
+    docs, labels = (table(spark, "/root/testdata/sf0.1", t) for t in ("documents", "labels"))
+    rows = rules.judge(docs, labels).join(labels, "doc_id").where("not base_failed").select("kept", "quality").collect()
+    good, bad = ([r["kept"] for r in rows if r["quality"] == q] for q in (1, 0))
+    assert np.mean(good) >= 0.95 and np.mean(bad) < 0.9
 
 
 def jaccard(a, b):
