@@ -368,8 +368,21 @@ def test_near_duplicate_blocks(spark, monkeypatch):
     texts = {i: " ".join(w if rng.random() > rng.choice((0.02, 0.06, 0.1)) else f"x{rng.randrange(300)}" for w in base) for i in range(120)}
     monkeypatch.setattr(neardup, "_BLOCK", 16)
     monkeypatch.setattr(neardup, "_BLOCK_SHINGLES", 700)
-    got = neardup.near_duplicates(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), 2).collect()
-    assert {r["doc_id"]: r["component_id"] for r in got} == components_of(texts, 2)[0]
+    expected = components_of(texts, 2)[0]
+    for limit in (neardup._REFINED, 10):
+        monkeypatch.setattr(neardup, "_REFINED", limit)
+        got = neardup.near_duplicates(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), 2).collect()
+        assert {r["doc_id"]: r["component_id"] for r in got} == expected
+
+
+def test_near_duplicates_of_shared_ids(spark):
+    """Rows that share an id are one document; unrelated groups stay apart, and repeated rows do not count."""
+    a, b, c, d = (prose(x, 40) for x in "abcd")
+    rows = [(5, a), (5, b), (3, b + " end"), (9, a + " end"), (5, a), (7, c), (8, c), (8, d), (8, d), (6, None), (6, ""), (None, a), (1, d + " end"), (2, prose("e", 40))]
+    got = neardup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), 2).collect()
+    assert len(got) == len(rows)
+    assert {(r["doc_id"], r["component_id"]) for r in got} == {(5, 3), (3, 3), (9, 3), (7, 1), (8, 1), (1, 1), (6, 6), (2, 2), (None, None)}
+    assert all(r["kept"] == (r["doc_id"] is None or r["doc_id"] == r["component_id"]) for r in got)
 
 
 def test_odd_sketch_estimates():
