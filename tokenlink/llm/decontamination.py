@@ -39,6 +39,8 @@ from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .scratch import without
+
 #: Share of an item's words that may be inserted, deleted or replaced.
 ERRORS = 0.15
 #: Longest piece; walks and sampled steps; what they reach for pieces with all edits allowed.
@@ -258,5 +260,5 @@ def contaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text
 
 def clean(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` without the contaminated ones; rows without an id are judged by nobody's hits and stay."""
-    bad = contaminated(docs, items, id_col, text_col).select(F.col("doc_id").alias("__bad")).distinct()
-    return docs.join(bad, F.col(id_col).cast("long") == F.col("__bad"), "left_anti")
+    bad = contaminated(docs, items, id_col, text_col).select(F.col("doc_id").alias("__bad")).where("__bad is not null")
+    return without(docs, F.col(id_col).cast("long"), bad)

@@ -56,3 +56,12 @@ def attach(rows: DataFrame, short: DataFrame, key: str, short_key: str, row_byte
     salted = rows.withColumn("__salt", F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c, t in rows.dtypes if "map<" not in t]), F.lit(SALTS)))
     spread = short.withColumn("__part", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     return salted.join(spread, same & (F.col("__salt") == F.col("__part")), "left").drop(short_key, "__salt", "__part")
+
+
+def without(rows: DataFrame, key: Column, keys: DataFrame) -> DataFrame:
+    """``rows`` whose key is not among the one column of ``keys``, which is written and measured: broadcast up to
+    ``BROADCAST_BYTES``, so that rows stay where they are, and shuffled beyond."""
+    name = keys.columns[0]
+    keys = materialize(keys.distinct())
+    short = 16 * keys.count() <= BROADCAST_BYTES
+    return rows.join(F.broadcast(keys) if short else keys, key == F.col(name), "left_anti")
