@@ -1,5 +1,7 @@
 from __future__ import annotations
 
+import random
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -8,6 +10,7 @@ from tokenlink.functions.sql import register as register_sql
 from tokenlink.operators import evaluate, linkage, profile, tokens, weights
 from tokenlink.operators.rules import EVALUATED, Part, RuleSet
 from tokenlink.plans.context import Context
+from tokenlink.sources import written
 
 
 @pytest.fixture(scope="module")
@@ -62,6 +65,38 @@ def test_metaphone(spark, a, b):
     assert phonetic.metaphone_code("") is None and phonetic.metaphone_code("THOMAS")[0] == "0"
 
 
+# Words with their published double Metaphone codes.
+DOUBLE = {
+    "testing": ("TSTN", "TSTN"), "The": ("0", "T"), "jumped": ("JMPT", "AMPT"), "Kuczewski": ("KSSK", "KXFS"), "McClelland": ("MKLL", "MKLL"), "san jose": ("SNHS", "SNHS"), "xenophobia": ("SNFP", "SNFP"),
+    "richard": ("RXRT", "RKRT"), "Smith": ("SM0", "XMT"), "Schmidt": ("XMT", "SMT"), "Snider": ("SNTR", "XNTR"), "Schneider": ("XNTR", "SNTR"), "Cabrillo": ("KPRL", "KPR"), "Thumb": ("0M", "TM"),
+    "Thomas": ("TMS", "TMS"), "Caesar": ("SSR", "SSR"), "Chianti": ("KNT", "KNT"), "Michael": ("MKL", "MXL"), "night": ("NT", "NT"), "Wagner": ("AKNR", "FKNR"), "Jose": ("HS", "HS"), "laugh": ("LF", "LF"),
+    "Campbell": ("KMPL", "KMPL"), "raspberry": ("RSPR", "RSPR"), "Zhao": ("J", "J"), "Xavier": ("SF", "SFR"), "breaux": ("PR", "PR"), "Arnow": ("ARN", "ARNF"), "Filipowicz": ("FLPT", "FLPF"), "Accident": ("AKST", "AKST"),
+    "bellocchio": ("PLX", "PLX"), "edge": ("AJ", "AJ"), "Edgar": ("ATKR", "ATKR"), "hugh": ("H", "H"), "island": ("ALNT", "ALNT"), "sugar": ("XKR", "SKR"), "resnais": ("RSN", "RSNS"), "rogier": ("RJ", "RJR"),
+    "tichner": ("TXNR", "TKNR"), "ghiradelli": ("JRTL", "JRTL"), "Tagliaro": ("TKLR", "TLR"), "biaggi": ("PJ", "PK"), "Vorhees": ("FRS", "FRS"), "Jankelowicz": ("JNKL", "ANKL"),
+}
+
+
+def test_double_metaphone():
+    assert {w: phonetic.double_metaphone_codes(w) for w in DOUBLE} == DOUBLE
+    assert phonetic.double_metaphone_codes(None) == phonetic.double_metaphone_codes("%3") == (None, None)
+
+
+def test_double_metaphone_ends():
+    """Any word is read to its end, in codes of the usual letters."""
+    rng = random.Random(1)
+    for _ in range(20_000):
+        main, other = phonetic.double_metaphone_codes("".join(rng.choice("ABCDEFGHIJKLMNOPQRSTUVWXYZ ") for _ in range(rng.randint(1, 9))), 99)
+        assert main is None or set(main + other) <= set("A0FHJKLMNPRSTX")
+
+
+def test_phonetic_rules(spark):
+    std = spark.createDataFrame([(1, "Smith", "Jose", "19500507"), (2, "Smyth", "Jose", "19500507"), (3, "Schmidt", None, "19500507")], "rec_id long, last_name string, first_name string, birth_date string")
+    rules = RuleSet.of("L^ F^ B", "L^^ F^^ B", "L~ F~ B")
+    assert {r.kind for r in rules} == {"phonetic"}
+    rows = tokens.tokens_wide(std, rules).orderBy("rec_id").collect()
+    assert [tuple(r)[1:] for r in rows] == [("SM0JS19500507", "SM0HS19500507", "S530J20019500507")] * 2 + [(None, None, None)]
+
+
 def test_rule_catalog():
     assert len(EVALUATED) == 20
     assert Part.parse("S4").transform == "last" and Part.parse("Y").n == 4
@@ -173,10 +208,75 @@ def test_wilson(spark):
     assert abs(one(spark, low) * 100 - 82.86) < 0.01 and one(spark, high) < 0.88
 
 
-def test_semi_reduction_falls_back(ctx):
+def test_semi_reduction_falls_back(ctx, monkeypatch):
     long = tokens.tokens_long(ctx.register, RuleSet.of("S"))
     keys = tokens.tokens_long(linkage.validation_subset(ctx.clinic), RuleSet.of("S"))
-    assert linkage.semi_reduce(long, keys, limit=0).count() == linkage.semi_reduce(long, keys).count()
+    short = linkage.semi_reduce(long, keys).count()
+    monkeypatch.setattr(written, "BROADCAST_BYTES", -1)
+    assert linkage.semi_reduce(long, keys).count() == short
+
+
+def test_heavy_keys_are_shared_out(spark, monkeypatch):
+    """A key that most records carry is cut into shares, without losing or repeating a pair."""
+    mine = spark.createDataFrame([(i, 1, "x" if i < 5 else f"k{i}") for i in range(20)], "clinic_id long, rule_id int, token string")
+    theirs = spark.createDataFrame([(i, 1, "x" if i < 300 else f"k{i % 20}") for i in range(400)], "reg_id long, rule_id int, token string")
+    pairs = lambda: sorted(map(tuple, linkage.shared_keys(mine, theirs, heavy=16).collect()))
+    expected = sorted((a["clinic_id"], b["reg_id"]) for a in mine.collect() for b in theirs.collect() if a["token"] == b["token"])
+    assert pairs() == expected
+    monkeypatch.setattr(written, "BROADCAST_BYTES", -1)
+    assert pairs() == expected
+
+
+def test_fuzzy_links_by_all_pairs(spark):
+    """Blocking by birth date and remnants of a name loses no pair, though most records share a default birth date."""
+    rng = random.Random(4)
+    name = lambda: "".join(rng.choice("ABC") for _ in range(rng.randint(1, 5)))
+    people = lambda n: [(i, name() if rng.random() < 0.9 else None, name(), "19000101" if rng.random() < 0.7 else f"1950010{rng.randint(1, 3)}") for i in range(n)]
+    a, b = people(40), people(80)
+    shape = "rec_id long, first_name string, last_name string, birth_date string"
+
+    def near(x, y, k):
+        row = list(range(len(y) + 1))
+        for i, c in enumerate(x, 1):
+            new = [i]
+            for j, d in enumerate(y, 1):
+                new.append(min(row[j] + 1, new[-1] + 1, row[j - 1] + (c != d)))
+            row = new
+        return row[-1] <= k
+
+    for k in (1, 2):
+        got = {(r["clinic_id"], r["reg_id"]): r["how"] for r in linkage.link_fuzzy(spark.createDataFrame(a, shape), spark.createDataFrame(b, shape), k).collect()}
+        expected = {}
+        for i, f, s, d in a:
+            for j, g, t, e in b:
+                if d == e and f and g:
+                    if near(f, g, k) and near(s, t, k):
+                        expected[i, j] = "straight"
+                    elif near(f, t, k) and near(s, g, k):
+                        expected[i, j] = "crossed"
+        assert got == expected
+
+
+def test_class_three_counts_eleven_items(spark):
+    """A number is unknown: any eight of the eleven items make class 3, and seven do not."""
+    fields = dict(first_name="ANN", middle_name="B", last_name="LEE", father_surname="ROE", birth_date="19500507", gender="F", race=1, marital=2, birth_state=3)
+    other = dict(first_name="EVE", middle_name="C", last_name="KAY", father_surname="POE", birth_date="19510608", gender="M", race=4, marital=3, birth_state=9)
+    shape = "ssn string, first_name string, middle_name string, last_name string, birth_date string, gender string, birth_state int, race int, marital int, father_surname string"
+    record = lambda x: tuple(None if f == "ssn" else x[f] for f in weights.CLASS_FIELDS)
+    # items of a record: each field is one, and the birth date three; another sex than F takes the father's surname with it
+    parts = [("first_name", 1), ("middle_name", 1), ("last_name", 1), ("father_surname", 1), ("birth_date", 3), ("race", 1), ("marital", 1), ("birth_state", 1)]
+    rows, expected = [], []
+    for mask in range(1 << len(parts)):
+        changed = {f: other[f] if mask >> i & 1 else fields[f] for i, (f, _) in enumerate(parts)} | {"gender": "F"}
+        rows.append((mask, record(fields), record(changed)))
+        expected.append((mask, 3 if 11 - sum(n for i, (_, n) in enumerate(parts) if mask >> i & 1) >= 8 else 4))
+    blank = fields | {"middle_name": None, "race": 0, "marital": 9, "birth_state": 9}
+    rows.append((999, record(fields | {"middle_name": None}), record(blank)))  # two blank initials are no agreement
+    expected.append((999, 4))
+    order = {f: k for k, f in enumerate(weights.CLASS_FIELDS)}
+    assert [x.split(" ")[0] for x in shape.split(", ")] == list(order)
+    frame = spark.createDataFrame(rows, f"i int, a struct<{shape.replace(" ", ":").replace(",:", ",")}>, b struct<{shape.replace(' ', ':').replace(',:', ',')}>")
+    assert sorted(map(tuple, frame.select("i", weights.agreement_class()).collect())) == expected
 
 
 def test_plans(ctx):

@@ -95,6 +95,14 @@ def ssn_defect(c: Column) -> Column:
     )
 
 
+def adjacent_swaps(c: Column) -> Column:
+    """Every text that exchanging two neighbouring letters or digits makes of a text; an empty array for a null."""
+    turned = lambda i: F.concat(F.substring(c, F.lit(1), i - 1), F.substring(c, i + 1, F.lit(1)), F.substring(c, i, F.lit(1)), F.substring(c, i + 2, F.length(c)))
+    differ = lambda i: F.substring(c, i, F.lit(1)) != F.substring(c, i + 1, F.lit(1))
+    none = F.array().cast("array<string>")
+    return F.when(F.length(c) > 1, F.transform(F.filter(F.sequence(F.lit(1), F.length(c) - 1), differ), turned)).otherwise(none)
+
+
 def agreeing_digits(a: Column, b: Column, n: int = 9) -> Column:
     """Positions at which two numbers hold the same digit."""
     same = [F.when(F.substring(a, i, 1) == F.substring(b, i, 1), 1).otherwise(0) for i in range(1, n + 1)]

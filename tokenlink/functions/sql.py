@@ -28,6 +28,7 @@ class TokenRows:
 
     def eval(self, fields: dict[str, str], rules: str) -> Iterator[tuple[str, str]]:
         from ..operators.rules import Part
+        from .phonetic import double_metaphone_codes, metaphone_code
 
         for codes in (x.strip() for x in rules.split(",")):
             values = []
@@ -37,8 +38,12 @@ class TokenRows:
                     v = v[: p.n]
                 elif v is not None and p.transform == "last":
                     v = v[-p.n :]
+                elif v is not None and p.transform == "metaphone":
+                    v = metaphone_code(v)
+                elif v is not None and p.transform == "double_metaphone":
+                    v = double_metaphone_codes(v)[0]
                 elif p.transform == "soundex":
-                    raise ValueError("phonetic parts need the DataFrame functions")
+                    raise ValueError("Soundex parts need the DataFrame functions")
                 values.append(v)
             if all(values):
                 yield codes, "".join(values)

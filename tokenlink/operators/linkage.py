@@ -7,15 +7,16 @@ unique on both sides, so no join can blow up or run hot.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.written import is_short, materialize
 from .rules import EVALUATED, RuleSet
 from .tokens import tokens_long
 
 KEY = ["rule_id", "token"]
-#: Rows of a key list that may be broadcast; beyond it, keys are joined by a shuffle.
-BROADCAST_KEYS = 2_000_000
+#: Register records of a key beyond which it is cut into shares.
+HEAVY = 10_000
 
 
 def token_db(long: DataFrame) -> DataFrame:
@@ -54,14 +55,14 @@ def validation_subset(std: DataFrame) -> DataFrame:
     return std.where(F.col("death_date").isNotNull())
 
 
-def semi_reduce(long: DataFrame, keys: DataFrame, limit: int = BROADCAST_KEYS) -> DataFrame:
+def semi_reduce(long: DataFrame, keys: DataFrame) -> DataFrame:
     """The keys that also occur in ``keys``: uniqueness of a key needs only the records that carry it.
 
-    The key list is broadcast while it has at most ``limit`` rows, which is counted first.
+    The key list is written once and measured; it is broadcast up to a fixed size, beyond which the join shuffles.
     """
-    few = keys.select(*KEY).limit(limit + 1).count() <= limit
-    wanted = keys.select(*KEY)
-    return long.join(F.broadcast(wanted) if few else wanted, KEY, "left_semi")
+    wanted = materialize(keys.select(*KEY).distinct())
+    short = is_short(wanted, F.octet_length("token") + 16)
+    return long.join(F.broadcast(wanted) if short else wanted, KEY, "left_semi")
 
 
 def one_to_one(a_db: DataFrame, b_db: DataFrame, unique: str = "record") -> DataFrame:
@@ -74,7 +75,7 @@ def one_to_one(a_db: DataFrame, b_db: DataFrame, unique: str = "record") -> Data
 
 def subset_pairs(clinic: DataFrame, register: DataFrame, rules: RuleSet = EVALUATED, unique: str = "record", reduce: bool = True, sep: str = "") -> DataFrame:
     """One-to-one pairs between the validation subset and the register."""
-    subset = file_db(validation_subset(clinic), rules, sep).where("n_records = 1")
+    subset = materialize(file_db(validation_subset(clinic), rules, sep).where("n_records = 1"))
     long = tokens_long(register, rules, sep, ("death_date",))
     return one_to_one(subset, token_db(semi_reduce(long, subset) if reduce else long), unique)
 
@@ -89,7 +90,7 @@ def link_outcomes(clinic: DataFrame, register: DataFrame, rules: RuleSet = EVALU
 
 def links(clinic: DataFrame, register: DataFrame, rules: RuleSet = EVALUATED, sep: str = "") -> DataFrame:
     """(rule_id, clinic_id, reg_id, clinic_dod, reg_dod) for keys unique in both whole files."""
-    mine = file_db(clinic, rules, sep).where("n_records = 1")
+    mine = materialize(file_db(clinic, rules, sep).where("n_records = 1"))
     theirs = token_db(semi_reduce(tokens_long(register, rules, sep, ("death_date",)), mine))
     return one_to_one(mine, theirs).drop("token")
 
@@ -107,22 +108,54 @@ def link_cascade(found: DataFrame, order: dict[int, int]) -> DataFrame:
     return found.where(F.col("rule_id").isin(*order)).groupBy("clinic_id").agg(best).select("clinic_id", "best.*")
 
 
-def candidates(clinic: DataFrame, register: DataFrame, rules: RuleSet, max_block: int | None = None) -> DataFrame:
-    """(clinic_id, reg_id) sharing a key of a loose rule.
+def shared_keys(mine: DataFrame, theirs: DataFrame, heavy: int = HEAVY) -> DataFrame:
+    """(clinic_id, reg_id) of records that share a key, once a pair.
 
-    ``max_block`` leaves out keys with more register records; such pairs must then come from another rule.
+    A key that more than ``heavy`` register records carry is cut into shares of about that many; the clinic's records
+    of the key meet each share, so that no task holds a heavy key.
     """
+    counts = materialize(theirs.groupBy(*KEY).agg(F.ceil(F.count("*") / heavy).cast("int").alias("shares")).where("shares > 1"))
+    if counts.isEmpty():
+        return mine.join(theirs, KEY).select("clinic_id", "reg_id").distinct()
+    few = F.broadcast(counts) if is_short(counts, F.octet_length("token") + 16) else counts
+    shares = F.coalesce("shares", F.lit(1))
+    cut = theirs.join(few, KEY, "left").withColumn("share", F.pmod(F.xxhash64("reg_id"), shares).cast("int")).drop("shares")
+    met = mine.join(few, KEY, "left").withColumn("share", F.explode(F.sequence(F.lit(0), shares - 1))).drop("shares")
+    return met.join(cut, [*KEY, "share"]).select("clinic_id", "reg_id").distinct()
+
+
+def candidates(clinic: DataFrame, register: DataFrame, rules: RuleSet) -> DataFrame:
+    """(clinic_id, reg_id) sharing a key of a loose rule."""
     mine = tokens_long(clinic, rules).withColumnRenamed("rec_id", "clinic_id")
-    theirs = semi_reduce(tokens_long(register, rules), mine.select(*KEY).distinct()).withColumnRenamed("rec_id", "reg_id")
-    if max_block is not None:
-        theirs = theirs.join(theirs.groupBy(*KEY).count().where(F.col("count") <= max_block).drop("count"), KEY, "left_semi")
-    return mine.join(theirs, KEY).select("clinic_id", "reg_id").distinct()
+    theirs = semi_reduce(tokens_long(register, rules), mine).withColumnRenamed("rec_id", "reg_id")
+    return shared_keys(mine, theirs)
 
 
-def link_fuzzy(clinic: DataFrame, register: DataFrame, block: RuleSet, edits: int = 1) -> DataFrame:
-    """Pairs within a block whose first and last names differ by at most ``edits`` letters each, or are exchanged."""
+def deletions(c: Column, edits: int) -> Column:
+    """What is left of a text after up to ``edits`` letters are taken out; texts within so many edits share one."""
+    out = F.array(c)
+    for _ in range(edits):
+        fewer = lambda x: F.when(F.length(x) > 0, F.transform(F.sequence(F.lit(1), F.length(x)), lambda i: F.concat(F.substring(x, F.lit(1), i - 1), F.substring(x, i + 1, F.length(x))))).otherwise(F.array().cast("array<string>"))
+        out = F.array_distinct(F.concat(out, F.flatten(F.transform(out, fewer))))
+    return out
+
+
+def link_fuzzy(clinic: DataFrame, register: DataFrame, edits: int = 1) -> DataFrame:
+    """Pairs of the same birth date whose first and last names differ by at most ``edits`` letters each, or are exchanged.
+
+    Texts within k edits share a text left by k deletions, so the birth date with such a remnant of the clinic's first
+    name is a key that loses no pair; a birth date that many records share by default does not make all of them meet.
+    """
+
+    def keyed(std: DataFrame, side: str, *names: str) -> DataFrame:
+        left = F.array_distinct(F.flatten(F.array(*[F.when(F.col(n).isNotNull(), deletions(F.col(n), edits)).otherwise(F.array().cast("array<string>")) for n in names])))
+        rows = std.where("birth_date is not null").select(F.col("rec_id").alias(side), "birth_date", F.explode(left).alias("left"))
+        return rows.select(side, F.lit(0).alias("rule_id"), F.concat_ws("|", "birth_date", "left").alias("token"))
+
+    mine = keyed(clinic, "clinic_id", "first_name")
+    theirs = semi_reduce(keyed(register, "reg_id", "first_name", "last_name"), mine)
     names = lambda std, side: std.select(F.col("rec_id").alias(side), *[F.col(c).alias(f"{side}_{c}") for c in ("first_name", "last_name")])
-    pairs = candidates(clinic, register, block).join(names(clinic, "clinic_id"), "clinic_id").join(names(register, "reg_id"), "reg_id")
+    pairs = shared_keys(mine, theirs).join(names(clinic, "clinic_id"), "clinic_id").join(names(register, "reg_id"), "reg_id")
     near = lambda a, b: F.levenshtein(F.col(a), F.col(b)) <= edits
     straight = near("clinic_id_first_name", "reg_id_first_name") & near("clinic_id_last_name", "reg_id_last_name")
     crossed = near("clinic_id_first_name", "reg_id_last_name") & near("clinic_id_last_name", "reg_id_first_name")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -56,6 +58,40 @@ def token_sketches(std: DataFrame, rules: RuleSet = EVALUATED) -> DataFrame:
     return tokens_long(std, rules).groupBy("rule_id").agg(F.hll_sketch_agg("token").alias("sketch"))
 
 
+def merged_sketches(*parts: DataFrame) -> DataFrame:
+    """(rule_id, n_distinct) over several deliveries from their sketches."""
+    whole = parts[0]
+    for p in parts[1:]:
+        whole = whole.unionByName(p)
+    return whole.groupBy("rule_id").agg(F.hll_union_agg("sketch").alias("sketch")).select("rule_id", F.hll_sketch_estimate("sketch").alias("n_distinct"))
+
+
+def heavy_keys(long: DataFrame, least: int, eps: float = 1e-4, confidence: float = 0.999, seed: int = 1) -> DataFrame:
+    """(rule_id, token, n_records) of the keys of ``least`` records or more, exactly.
+
+    A count-min sketch never counts a key short, so only keys whose sketched count suffices are counted exactly, and
+    the exchange carries few others.  The sketch has a fixed size, whatever the file's.
+    """
+    code = F.xxhash64("rule_id", "token")
+    data = bytes(long.select(code.alias("k")).agg(F.count_min_sketch("k", F.lit(eps), F.lit(confidence), F.lit(seed)).alias("s")).first()["s"])
+    # as Spark writes it: version, total, depth, width, a multiplier for each row, the rows
+    depth, width = (int(x) for x in np.frombuffer(data, ">i4", 2, 12))
+    factors = np.frombuffer(data, ">i8", depth, 20).astype(np.int64)
+    table = np.frombuffer(data, ">i8", depth * width, 20 + 8 * depth).astype(np.int64).reshape(depth, width)
+
+    @F.pandas_udf("long")
+    def sketched(keys: pd.Series) -> pd.Series:
+        k, counts = keys.to_numpy(np.int64), []
+        for factor, row in zip(factors, table, strict=True):
+            with np.errstate(over="ignore"):
+                h = factor * k
+                h = (h + (h >> 32)) & np.int64((1 << 31) - 1)
+            counts.append(row[h % width])
+        return pd.Series(np.min(counts, axis=0))
+
+    return long.where(sketched(code) >= least).groupBy("rule_id", "token").agg(F.count("*").alias("n_records")).where(F.col("n_records") >= least)
+
+
 def completeness_by_mask(std: DataFrame, rules: RuleSet = EVALUATED) -> DataFrame:
     """Completeness of every rule from the validity bits alone: at most 32 groups, and no key is built."""
     rows = []

@@ -1,7 +1,8 @@
 """Rules: ordered lists of key parts, compiled to Catalyst expressions or to SQL text.
 
 A rule is written as part codes: S ssn, L last, M middle, F first, B birth date, Y year of birth, G gender,
-Z zip, A address; a digit takes a prefix (of S the last digits), ``~`` the Soundex code.
+Z zip, A address; a digit takes a prefix (of S the last digits), ``~`` the Soundex code, ``^`` the Metaphone code and
+``^^`` the main double Metaphone code (Arrow-batched functions; the others are Catalyst expressions).
 """
 
 from __future__ import annotations
@@ -13,18 +14,22 @@ from dataclasses import dataclass
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from ..functions.phonetic import double_metaphone, metaphone
+
 _FIELDS = {"S": "ssn", "L": "last_name", "M": "middle_name", "F": "first_name", "B": "birth_date", "Y": "birth_date", "G": "gender", "Z": "zip", "A": "address"}
 
+_PHONETIC = {"~": "soundex", "^": "metaphone", "^^": "double_metaphone"}
+
 
 @dataclass(frozen=True)
 class Part:
     field: str
-    transform: str = "whole"  # whole, prefix, last, soundex
+    transform: str = "whole"  # whole, prefix, last, soundex, metaphone, double_metaphone
     n: int = 0
 
     @classmethod
     def parse(cls, code: str) -> Part:
-        m = re.fullmatch(r"([A-Z])(~|\d+)?", code)
+        m = re.fullmatch(r"([A-Z])(~|\^\^?|\d+)?", code)
         if not m or m[1] not in _FIELDS:
             raise ValueError(f"unknown key part {code!r}")
         field, how = _FIELDS[m[1]], m[2]
@@ -32,8 +37,8 @@ class Part:
             return cls(field, "prefix", 4)
         if how is None or how == "5" and m[1] == "Z":
             return cls(field)
-        if how == "~":
-            return cls(field, "soundex")
+        if how in _PHONETIC:
+            return cls(field, _PHONETIC[how])
         return cls(field, "last" if m[1] == "S" else "prefix", int(how))
 
     @property
@@ -43,7 +48,9 @@ class Part:
             return F.substring(c, 1, self.n)
         if self.transform == "last":
             return F.right(c, F.lit(self.n))
-        return F.soundex(c) if self.transform == "soundex" else c
+        if self.transform == "double_metaphone":
+            return double_metaphone(c).getField("primary")
+        return {"soundex": F.soundex, "metaphone": metaphone}[self.transform](c) if self.transform in _PHONETIC.values() else c
 
     def determines(self, other: Part) -> bool:
         """Whether the other part is a function of this one."""
@@ -72,7 +79,7 @@ class Rule:
     @property
     def kind(self) -> str:
         how = {p.transform for p in self.parts}
-        return "phonetic" if "soundex" in how else "partial" if how - {"whole"} else "exact"
+        return "phonetic" if how & set(_PHONETIC.values()) else "partial" if how - {"whole"} else "exact"
 
     def token(self, sep: str = "") -> Column:
         """The key; null if any part is (``concat`` propagates nulls, ``concat_ws`` would not)."""
@@ -114,6 +121,9 @@ EVALUATED = RuleSet.of(
     "L F B", "L M1 F", "L F3 B", "L F1 B", "L~ M~ F~ B", "L~ M~ F~ Y", "L~ F~ B", "L", "F", "B",
 )
 
+#: Keys of the twenty's phonetic rules under the codes planned to follow Soundex.
+PHONETIC = RuleSet.of("L^ M^ F^ B", "L^ M^ F^ Y", "L^ F^ B", "L^^ M^^ F^^ B", "L^^ M^^ F^^ Y", "L^^ F^^ B", prefix="phonetic")
+
 # Rule sets of earlier systems.
 LEGACY = RuleSet.of("S B", "S F L Y", prefix="legacy")
 METRO = RuleSet.of("F L B", "B S", "L S", "F3 L3 F~ L~ B S", prefix="metro")

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from functools import partial
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.cleaning import CleaningPolicy, clean_address, clean_gender, clean_name, clean_zip, to_ymd, valid_date, valid_ssn
+from ..functions.cleaning import CleaningPolicy, adjacent_swaps, clean_address, clean_gender, clean_name, clean_zip, to_ymd, valid_date, valid_ssn
 
 #: Bits of ``valid_mask``.
 MASK = ("ssn", "last_name", "middle_name", "first_name", "birth_date")
@@ -36,15 +38,27 @@ def explode_names(raw: DataFrame, names: Column) -> DataFrame:
     return rows.withColumn("first_name_raw", F.col("__n.first")).withColumn("last_name_raw", F.col("__n.last")).withColumn("name_kind", F.col("__n.kind")).drop("__n")
 
 
-def swap_variants(std: DataFrame, kinds: tuple[str, ...] = ("names", "month_day")) -> DataFrame:
-    """The records and their variants with first and last name, or month and day of birth, exchanged."""
-    same = F.struct(F.lit("as_is").alias("kind"), F.col("first_name").alias("f"), F.col("last_name").alias("l"), F.col("birth_date").alias("b"))
-    made = {
-        "names": F.struct(F.lit("names").alias("kind"), F.col("last_name").alias("f"), F.col("first_name").alias("l"), F.col("birth_date").alias("b")),
-        "month_day": F.struct(
-            F.lit("month_day").alias("kind"), F.col("first_name").alias("f"), F.col("last_name").alias("l"),
-            F.concat(F.substring("birth_date", 1, 4), F.substring("birth_date", 7, 2), F.substring("birth_date", 5, 2)).alias("b"),
-        ),
-    }
-    rows = std.withColumn("__v", F.explode(F.array(same, *[made[k] for k in kinds])))
-    return rows.withColumn("variant", F.col("__v.kind")).withColumn("first_name", F.col("__v.f")).withColumn("last_name", F.col("__v.l")).withColumn("birth_date", F.col("__v.b")).drop("__v")
+#: Variants by exchange of neighbouring letters or digits: kind and field.
+ADJACENT = {"first_letters": "first_name", "last_letters": "last_name", "ssn_digits": "ssn", "birth_digits": "birth_date"}
+
+
+def swap_variants(std: DataFrame, kinds: tuple[str, ...] = ("names", "month_day", *ADJACENT)) -> DataFrame:
+    """The records and their variants: first and last name, or month and day of birth, exchanged; and, for each place
+    in a field, two neighbouring letters or digits exchanged."""
+    fields = ("first_name", "last_name", "birth_date", "ssn")
+
+    def made(kind: str, **changed: Column) -> Column:
+        return F.struct(F.lit(kind).alias("kind"), *[changed.get(f, F.col(f)).alias(f) for f in fields])
+
+    def changed(kind: str, field: str, x: Column) -> Column:
+        return made(kind, **{field: x})
+
+    month_day = F.concat(F.substring("birth_date", 1, 4), F.substring("birth_date", 7, 2), F.substring("birth_date", 5, 2))
+    variants = [F.array(made("as_is"))]
+    if "names" in kinds:
+        variants.append(F.array(made("names", first_name=F.col("last_name"), last_name=F.col("first_name"))))
+    if "month_day" in kinds:
+        variants.append(F.array(made("month_day", birth_date=month_day)))
+    variants += [F.transform(adjacent_swaps(F.col(f)), partial(changed, kind, f)) for kind, f in ADJACENT.items() if kind in kinds]
+    rows = std.withColumn("__v", F.explode(F.concat(*variants)))
+    return rows.withColumns({"variant": F.col("__v.kind"), **{f: F.col(f"__v.{f}") for f in fields}}).drop("__v")

@@ -38,26 +38,29 @@ def score_pairs(pairs: DataFrame, a: DataFrame, b: DataFrame, weights: DataFrame
 def agreement_class(a: str = "a", b: str = "b") -> Column:
     """The class of a pair whose two records stand in structs ``a`` and ``b``; exactly one of 1 to 5.
 
-    1: at least eight digits and name, initial, birth (year within three), sex and state agree; 2: number
-    present, at least seven digits, not class 1; 3: number unknown, eight of eleven items agree; 4: number
+    1: at least eight digits and first name, middle initial (both may be blank), last name, birth year within three,
+    birth month, sex and state of birth agree; 2: number present, at least seven digits, not class 1; 3: number
+    unknown, eight or more of eleven items agree, each present and equal: first name, middle initial, last name,
+    father's surname (of women), day, month and year of birth, sex, race, marital status, state of birth; 4: number
     unknown otherwise; 5: number present, under seven digits.
     """
     x, y = lambda f: F.col(f"{a}.{f}"), lambda f: F.col(f"{b}.{f}")
     eq = lambda f: F.coalesce(x(f) == y(f), F.lit(False))
     known = x("ssn").isNotNull() & y("ssn").isNotNull()
     digits = F.when(known, agreeing_digits(x("ssn"), y("ssn")))
-    initial = F.substring(x("middle_name"), 1, 1).eqNullSafe(F.substring(y("middle_name"), 1, 1))
+    initials = F.substring(x("middle_name"), 1, 1), F.substring(y("middle_name"), 1, 1)
     born = lambda r, at, n: F.substring(r("birth_date"), at, n)
     years = F.coalesce(F.abs(born(x, 1, 4).cast("int") - born(y, 1, 4).cast("int")) <= 3, F.lit(False))
-    months, days = (F.coalesce(born(x, at, 2) == born(y, at, 2), F.lit(False)) for at in (5, 7))
-    first = (digits >= 8) & eq("first_name") & initial & eq("last_name") & years & months & eq("gender") & eq("birth_state")
+    year, months, days = (F.coalesce(born(x, at, n) == born(y, at, n), F.lit(False)) for at, n in ((1, 4), (5, 2), (7, 2)))
+    first = (digits >= 8) & eq("first_name") & initials[0].eqNullSafe(initials[1]) & eq("last_name") & years & months & eq("gender") & eq("birth_state")
     father = F.coalesce((x("gender") == "F") & (x("father_surname") == y("father_surname")), F.lit(False))
-    items = [eq("first_name"), initial, eq("last_name"), years, months, days, eq("gender"), eq("birth_state"), eq("race"), eq("marital"), eq("residence_state") & father]
+    initial = F.coalesce(initials[0] == initials[1], F.lit(False))
+    items = [eq("first_name"), initial, eq("last_name"), father, days, months, year, eq("gender"), eq("race"), eq("marital"), eq("birth_state")]
     agreeing = sum((c.cast("int") for c in items[1:]), items[0].cast("int"))
     return F.when(known & first, 1).when(known & (digits >= 7), 2).when(known, 5).when(agreeing >= 8, 3).otherwise(4)
 
 
-CLASS_FIELDS = ("ssn", "first_name", "middle_name", "last_name", "birth_date", "gender", "birth_state", "race", "marital", "father_surname", "residence_state")
+CLASS_FIELDS = ("ssn", "first_name", "middle_name", "last_name", "birth_date", "gender", "birth_state", "race", "marital", "father_surname")
 
 
 def classified(pairs: DataFrame, a: DataFrame, b: DataFrame) -> DataFrame:

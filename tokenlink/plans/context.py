@@ -10,8 +10,10 @@ from pyspark.sql import functions as F
 from ..operators import evaluate, lifecycle, linkage, present, weights
 from ..operators.rules import RuleSet
 from ..operators.standardize import standardize
+from ..operators.tokens import tokens_long
 from ..sources import personas
 from ..sources.tables import Tables
+from ..sources.written import materialize
 
 #: Loose rules that make candidate pairs for the weighted methods.
 LOOSE = RuleSet.of("S4 B", "L F3 B", "L~ F~ B", "L M F Y")
@@ -37,13 +39,22 @@ class Context:
     def clinic(self) -> DataFrame:
         return standardize(self.clinic_raw, "clinic_id")
 
+    @cached_property
+    def clinic_db(self) -> DataFrame:
+        return materialize(linkage.file_db(self.clinic))
+
+    @cached_property
+    def register_db(self) -> DataFrame:
+        """The register's counts of the clinic's keys; the validation subset's keys are among them."""
+        return materialize(linkage.token_db(linkage.semi_reduce(tokens_long(self.register, keep=("death_date",)), self.clinic_db)))
+
     @cached_property
     def pairs(self) -> DataFrame:
-        return linkage.subset_pairs(self.clinic, self.register)
+        return linkage.one_to_one(linkage.file_db(linkage.validation_subset(self.clinic)), self.register_db)
 
     @cached_property
     def scores(self) -> DataFrame:
-        return evaluate.scorecard(self.pairs)
+        return materialize(evaluate.scorecard(self.pairs))
 
     @cached_property
     def priority(self) -> DataFrame:
@@ -51,7 +62,7 @@ class Context:
 
     @cached_property
     def links(self) -> DataFrame:
-        return linkage.links(self.clinic, self.register)
+        return linkage.one_to_one(self.clinic_db, self.register_db).drop("token")
 
     @cached_property
     def best(self) -> DataFrame:
@@ -81,7 +92,7 @@ class Context:
 
     @cached_property
     def candidates(self) -> DataFrame:
-        return linkage.candidates(self.clinic, self.register, LOOSE)
+        return materialize(linkage.candidates(self.clinic, self.register, LOOSE))
 
     @cached_property
     def weights(self) -> DataFrame:
@@ -93,7 +104,7 @@ class Context:
 
     @cached_property
     def classes(self) -> DataFrame:
-        more = ["birth_state", "race", "marital", "father_surname", "residence_state"]
+        more = ["birth_state", "race", "marital", "father_surname"]
         with_more = lambda std, raw, key: std.join(raw.select(F.col(key).alias("rec_id"), *more), "rec_id")
         return weights.classified(self.candidates, with_more(self.clinic, self.clinic_raw, "clinic_id"), with_more(self.register, self.register_raw, "reg_id"))
 

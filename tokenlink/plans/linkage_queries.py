@@ -7,10 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions import cleaning
+from ..functions import cleaning, phonetic
 from ..operators import evaluate, lifecycle, linkage, present, profile, tokens, weights
-from ..operators.rules import BASELINES, EVALUATED, RuleSet
-from ..operators.standardize import explode_names, standardize, swap_variants
+from ..operators.rules import BASELINES, EVALUATED, PHONETIC, RuleSet
+from ..operators.standardize import ADJACENT, explode_names, standardize, swap_variants
 from ..sources import personas
 from . import oracle_views as V
 from .context import Context
@@ -87,13 +87,41 @@ def _alternates(c: Context) -> DataFrame:
     return rows.select(F.col("reg_id").alias("rec_id"), "name_kind", cleaning.clean_name(F.col("first_name_raw"), 15).alias("first_name"), cleaning.clean_name(F.col("last_name_raw"), 20).alias("last_name"))
 
 
+_OTHERS = {"first_name": "first_name", "last_name": "last_name", "birth_date": "birth_date", "ssn": "ssn"}
+
+
+def _variant_sql(kind: str, **changed: str) -> str:
+    return f"SELECT rec_id, '{kind}' AS variant, " + ", ".join(f"{changed.get(f, f)} AS {f}" for f in _OTHERS) + " FROM clinic"
+
+
+def _swapped_sql(kind: str, field: str) -> str:
+    turned = f"substr({field}, 1, i - 1) || substr({field}, i + 1, 1) || substr({field}, i, 1) || substr({field}, i + 2)"
+    places = f"(SELECT *, unnest(range(1, length({field}))) AS i FROM clinic WHERE {field} IS NOT NULL)"
+    return _variant_sql(kind, **{field: turned}).replace("FROM clinic", f"FROM {places} WHERE substr({field}, i, 1) <> substr({field}, i + 1, 1)")
+
+
+_MONTH_DAY = "substr(birth_date, 1, 4) || substr(birth_date, 7, 2) || substr(birth_date, 5, 2)"
 register(
     "q_swap_variants",
+    query(" UNION ALL ".join([_variant_sql("as_is"), _variant_sql("names", first_name="last_name", last_name="first_name"), _variant_sql("month_day", birth_date=_MONTH_DAY), *[_swapped_sql(*x) for x in ADJACENT.items()]])),
+)(lambda c: swap_variants(c.clinic).select("rec_id", "variant", *_OTHERS))
+register(
+    "q_swap_links",
     query(
-        """SELECT rec_id, 'as_is' AS variant, first_name, last_name, birth_date FROM clinic UNION ALL SELECT rec_id, 'names', last_name, first_name, birth_date FROM clinic
-UNION ALL SELECT rec_id, 'month_day', first_name, last_name, substr(birth_date, 1, 4) || substr(birth_date, 7, 2) || substr(birth_date, 5, 2) FROM clinic"""
+        "SELECT DISTINCT v.rec_id AS clinic_id, r.rec_id AS reg_id, v.variant FROM variants v JOIN register r ON v.ssn || v.last_name || v.birth_date = r.ssn || r.last_name || r.birth_date",
+        variants=" UNION ALL ".join([_variant_sql("as_is"), _variant_sql("month_day", birth_date=_MONTH_DAY), *[_swapped_sql(k, f) for k, f in ADJACENT.items() if f != "first_name"]]),
     ),
-)(lambda c: swap_variants(c.clinic).select("rec_id", "variant", "first_name", "last_name", "birth_date"))
+)(lambda c: _swap_links(c))
+
+
+def _swap_links(c: Context) -> DataFrame:
+    """Whom the clinic's records and their variants meet under a strict key."""
+    rules = RuleSet.of("S L B")
+    variants = swap_variants(c.clinic, ("month_day", "last_letters", "ssn_digits", "birth_digits"))
+    mine = tokens.tokens_long(variants, rules, keep=("variant",)).withColumnRenamed("rec_id", "clinic_id")
+    theirs = linkage.semi_reduce(tokens.tokens_long(c.register, rules), mine).withColumnRenamed("rec_id", "reg_id")
+    return mine.join(theirs, linkage.KEY).select("clinic_id", "reg_id", "variant").distinct()
+
 
 # --- keys -------------------------------------------------------------------------------------------------
 
@@ -133,6 +161,20 @@ _KINDS = [(f"evaluated.{r.id}", r.codes, r.kind) for r in EVALUATED] + [(r.name,
 register("q_rule_kinds", "SELECT * FROM (VALUES " + ", ".join(str(x) for x in _KINDS) + ") AS t(rule, parts, kind)")(
     lambda c: c.spark.range(1).select(F.inline(F.array(*[F.struct(F.lit(a).alias("rule"), F.lit(b).alias("parts"), F.lit(k).alias("kind")) for a, b, k in _KINDS])))
 )
+# Words with their published codes.
+_SOUNDS = (
+    ("science", "SNS", "SNS", "SNS"), ("quick", "KK", "KK", "KK"), ("brown", "BRN", "PRN", "PRN"), ("fox", "FKS", "FKS", "FKS"), ("jumped", "JMPT", "JMPT", "AMPT"), ("over", "OFR", "AFR", "AFR"),
+    ("lazy", "LS", "LS", "LS"), ("dogs", "TKS", "TKS", "TKS"), ("the", "0", "0", "T"), ("wright", "RT", "RT", "RT"),
+)
+register("q_phonetic_words", "SELECT * FROM (VALUES " + ", ".join(str(x) for x in _SOUNDS) + ") AS t(word, metaphone, main, alternate)")(lambda c: _sounds(c))
+
+
+def _sounds(c: Context) -> DataFrame:
+    words = c.spark.range(1).select(F.explode(F.array(*[F.lit(x[0]) for x in _SOUNDS])).alias("word"))
+    return words.select("word", phonetic.metaphone(F.col("word")).alias("metaphone"), phonetic.double_metaphone(F.col("word")).alias("d")).select("word", "metaphone", F.col("d.primary").alias("main"), F.col("d.alternate").alias("alternate"))
+
+
+register("q_scorecard_phonetic", None)(lambda c: evaluate.scorecard(linkage.subset_pairs(c.clinic, c.register, PHONETIC), PHONETIC))
 register(
     "q_fuzzy_link",
     query(
@@ -142,7 +184,7 @@ SELECT p.clinic_id, p.reg_id, coalesce(levenshtein(a.first_name, b.first_name) <
 FROM (SELECT DISTINCT a.rec_id AS clinic_id, b.rec_id AS reg_id FROM ({V.long_tokens('clinic_c', RuleSet.of('B'))}) a JOIN ({V.long_tokens('register_c', RuleSet.of('B'))}) b USING (token)) p
 JOIN clinic a ON a.rec_id = p.clinic_id JOIN register b ON b.rec_id = p.reg_id) WHERE straight OR crossed"""
     ),
-)(lambda c: linkage.link_fuzzy(c.clinic, c.register, RuleSet.of("B")))
+)(lambda c: linkage.link_fuzzy(c.clinic, c.register))
 register(
     "q_any_vs_cascade",
     query(
@@ -300,7 +342,19 @@ FROM {V.ids()} r LEFT JOIN (SELECT rule_id, count(*) AS c, count(DISTINCT token)
 register("q_token_profile_register", query(_token_profile("register", V.NO)))(lambda c: profile.profile_tokens(linkage.file_db(c.register), c.t.size("orders")))
 register("q_token_profile_clinic", query(_token_profile("clinic", "(SELECT count(*) FROM customer)")))(lambda c: profile.profile_tokens(linkage.file_db(c.clinic), c.t.size("customer")))
 register("q_completeness_mask", query("SELECT rule_id, count(*) AS n_complete FROM register_tokens GROUP BY rule_id"))(lambda c: profile.completeness_by_mask(c.register))
-register("q_token_profile_approx", None)(lambda c: profile.profile_tokens_approx(c.register))
+register("q_token_profile_approx", query("SELECT rule_id, count(*) AS n_complete, TRUE AS near, TRUE AS near_merged FROM register_tokens GROUP BY rule_id"))(lambda c: _approximate(c))
+
+
+def _approximate(c: Context) -> DataFrame:
+    """Whether sketches of the whole file, and merged ones of three deliveries, come within four standard errors."""
+    exact = linkage.file_db(c.register).groupBy("rule_id").agg(F.count("*").alias("exact"))
+    merged = profile.merged_sketches(*[profile.token_sketches(c.register.where(F.col("rec_id") % 3 == k)) for k in range(3)])
+    near = lambda x, rsd: F.abs(F.col(x) - F.col("exact")) <= 4 * rsd * F.col("exact") + 1
+    joined = profile.profile_tokens_approx(c.register).join(merged.withColumnRenamed("n_distinct", "n_merged"), "rule_id").join(exact, "rule_id")
+    return joined.select("rule_id", "n_complete", near("n_distinct", 0.02).alias("near"), near("n_merged", 0.02).alias("near_merged"))
+
+
+register("q_heavy_keys", query("SELECT rule_id, token, n_records FROM register_db WHERE n_records >= 100"))(lambda c: profile.heavy_keys(tokens.tokens_long(c.register), 100))
 register("q_multiplicity", query("SELECT rule_id, n_records, count(*) AS n_tokens FROM register_db GROUP BY 1, 2"))(lambda c: profile.multiplicity(linkage.file_db(c.register)))
 _HEAVY = "SELECT rule_id, token, n_records, CAST(rank AS INTEGER) AS rank FROM (SELECT rule_id, token, n_records, row_number() OVER (PARTITION BY rule_id ORDER BY n_records DESC, token) AS rank FROM register_db) WHERE rank <= 5"
 register("q_heavy_tokens", query(_HEAVY))(
@@ -415,7 +469,7 @@ register("q_pair_scores", query("SELECT * FROM pair_scores"))(lambda c: c.pair_s
 register("q_agreement_class", query("SELECT * FROM classes"))(lambda c: c.classes)
 _CHOSEN = """SELECT clinic_id, reg_id, class, score, count(*) OVER (PARTITION BY clinic_id) > 1 AS needs_review FROM (
   SELECT *, rank() OVER (PARTITION BY clinic_id ORDER BY class, score DESC) AS r FROM classes JOIN pair_scores USING (clinic_id, reg_id)) WHERE r = 1"""
-register("q_ndi_select", query(_CHOSEN))(lambda c: c.chosen)
+register("q_weighted_select", query(_CHOSEN))(lambda c: c.chosen)
 register(
     "q_prob_vs_det",
     query(

@@ -127,7 +127,7 @@ SELECT k AS clinic_id, p AS true_person, CASE WHEN k % 11 = 5 THEN substr({w('1
        ELSE substr({ssn9('p')}, 1, 3) || '-' || substr({ssn9('p')}, 4, 2) || '-' || substr({ssn9('p')}, 6, 4) END AS ssn_raw,
   CASE WHEN k % 5 < 2 THEN order_date + CASE WHEN k % 7 = 0 THEN 4 ELSE 0 END END AS dod, CASE WHEN k % 31 <> 3 THEN substr('FM', CAST(1 + p % 2 AS INTEGER), 1) END AS gender_raw,
   CASE WHEN k % 6 = 1 THEN '94305' ELSE CAST(90000 + p % 250 AS VARCHAR) END AS zip_raw, CAST(1 + p % 300 AS VARCHAR) || ' ' || {w(12)} AS address_raw, CAST(p % 25 AS INTEGER) AS birth_state,
-  CASE WHEN k % 8 <> 2 THEN CAST(p % 5 AS INTEGER) END AS race, CAST(CASE WHEN k % 9 = 4 THEN (p + 1) % 4 ELSE p % 4 END AS INTEGER) AS marital, {w(13)} AS father_surname, CAST(p % 25 AS INTEGER) AS residence_state
+  CASE WHEN k % 8 <> 2 THEN CAST(p % 5 AS INTEGER) END AS race, CAST(CASE WHEN k % 9 = 4 THEN (p + 1) % 4 ELSE p % 4 END AS INTEGER) AS marital, {w(13)} AS father_surname, CAST(CASE WHEN k % 10 = 3 THEN (p + 1) % 25 ELSE p % 25 END AS INTEGER) AS residence_state
 FROM clinic_p""",
     "register": _std("register_raw", "reg_id"),
     "clinic": _std("clinic_raw", "clinic_id"),
@@ -171,18 +171,22 @@ SELECT p_partkey AS reg_id, p_partkey AS true_person, split_part(p_name, ' ', 1)
     + " ".join(f"LEFT JOIN weights w{i} ON w{i}.field = '{f}' AND w{i}.value = a.{f} AND a.{f} = b.{f}" for i, f in enumerate(("first_name", "middle_name", "last_name", "birth_date"))),
     "classes": """
 SELECT clinic_id, reg_id, CASE WHEN known AND digits >= 8 AND first_ok AND initial_ok AND last_ok AND year_ok AND month_ok AND sex_ok AND state_ok THEN 1 WHEN known AND digits >= 7 THEN 2 WHEN known THEN 5
-  WHEN CAST(first_ok AS INT) + CAST(initial_ok AS INT) + CAST(last_ok AS INT) + CAST(year_ok AS INT) + CAST(month_ok AS INT) + CAST(day_ok AS INT) + CAST(sex_ok AS INT) + CAST(state_ok AS INT) + CAST(race_ok AS INT)
-       + CAST(marital_ok AS INT) + CAST(home_father_ok AS INT) >= 8 THEN 3 ELSE 4 END AS class
+  WHEN CAST(first_ok AS INT) + CAST(coalesce(same_initial, FALSE) AS INT) + CAST(last_ok AS INT) + CAST(same_year AS INT) + CAST(month_ok AS INT) + CAST(day_ok AS INT) + CAST(sex_ok AS INT) + CAST(state_ok AS INT) + CAST(race_ok AS INT)
+       + CAST(marital_ok AS INT) + CAST(father_ok AS INT) >= 8 THEN 3 ELSE 4 END AS class
 FROM (SELECT candidates.clinic_id, candidates.reg_id, a.ssn IS NOT NULL AND b.ssn IS NOT NULL AS known, """
     + " + ".join(f"CASE WHEN substr(a.ssn, {i}, 1) = substr(b.ssn, {i}, 1) THEN 1 ELSE 0 END" for i in range(1, 10))
-    + """ AS digits, coalesce(a.first_name = b.first_name, FALSE) AS first_ok, substr(a.middle_name, 1, 1) IS NOT DISTINCT FROM substr(b.middle_name, 1, 1) AS initial_ok, coalesce(a.last_name = b.last_name, FALSE) AS last_ok,
+    + """ AS digits, coalesce(a.first_name = b.first_name, FALSE) AS first_ok, substr(a.middle_name, 1, 1) IS NOT DISTINCT FROM substr(b.middle_name, 1, 1) AS initial_ok, substr(a.middle_name, 1, 1) = substr(b.middle_name, 1, 1) AS same_initial,
+    coalesce(substr(a.birth_date, 1, 4) = substr(b.birth_date, 1, 4), FALSE) AS same_year, coalesce(a.last_name = b.last_name, FALSE) AS last_ok,
     coalesce(abs(CAST(substr(a.birth_date, 1, 4) AS INT) - CAST(substr(b.birth_date, 1, 4) AS INT)) <= 3, FALSE) AS year_ok, coalesce(substr(a.birth_date, 5, 2) = substr(b.birth_date, 5, 2), FALSE) AS month_ok,
     coalesce(substr(a.birth_date, 7, 2) = substr(b.birth_date, 7, 2), FALSE) AS day_ok, coalesce(a.gender = b.gender, FALSE) AS sex_ok, coalesce(ra.birth_state = rb.birth_state, FALSE) AS state_ok, coalesce(ra.race = rb.race, FALSE) AS race_ok,
-    coalesce(ra.marital = rb.marital, FALSE) AS marital_ok, coalesce(ra.residence_state = rb.residence_state AND a.gender = 'F' AND ra.father_surname = rb.father_surname, FALSE) AS home_father_ok
+    coalesce(ra.marital = rb.marital, FALSE) AS marital_ok, coalesce(a.gender = 'F' AND ra.father_surname = rb.father_surname, FALSE) AS father_ok
   FROM candidates JOIN clinic a ON a.rec_id = candidates.clinic_id JOIN register b ON b.rec_id = candidates.reg_id JOIN clinic_raw ra ON ra.clinic_id = candidates.clinic_id JOIN register_raw rb ON rb.reg_id = candidates.reg_id)""",
 }
 
 
+SHARED = ("register_raw", "clinic_raw", "register", "clinic", "candidates")
+
+
 def query(body: str, **more: str) -> str:
     """``body`` below the views it uses; ``more`` are views of its own."""
     views = VIEWS | more
@@ -195,4 +199,5 @@ def query(body: str, **more: str) -> str:
                 order[x] = None
 
     need(body)
-    return ("WITH " + ",\n".join(f"{x} AS ({views[x]})" for x in order) + "\n" if order else "") + body
+    # what is used by several views is computed once
+    return ("WITH " + ",\n".join(f"{x} AS {'MATERIALIZED ' if x in SHARED else ''}({views[x]})" for x in order) + "\n" if order else "") + body

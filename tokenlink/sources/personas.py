@@ -87,7 +87,7 @@ def clinic_raw(t: Tables) -> DataFrame:
         F.when(k % 8 != 2, (p % 5).cast("int")).alias("race"),
         F.when(k % 9 == 4, (p + 1) % 4).otherwise(p % 4).cast("int").alias("marital"),
         word(13).alias("father_surname"),
-        (p % 25).cast("int").alias("residence_state"),
+        F.when(k % 10 == 3, (p + 1) % 25).otherwise(p % 25).cast("int").alias("residence_state"),
     )
 
 
