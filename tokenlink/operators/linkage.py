@@ -56,13 +56,15 @@ def validation_subset(std: DataFrame) -> DataFrame:
 
 
 def semi_reduce(long: DataFrame, keys: DataFrame) -> DataFrame:
-    """The keys that also occur in ``keys``: uniqueness of a key needs only the records that carry it.
+    """The keys that also occur in ``keys``: uniqueness of a key needs only the records that carry it."""
+    return reduce_to(long, materialize(keys.select(*KEY).distinct()))
 
-    The key list is written once and measured; it is broadcast up to a fixed size, beyond which the join shuffles.
-    """
-    wanted = materialize(keys.select(*KEY).distinct())
-    short = is_short(wanted, F.octet_length("token") + 16)
-    return long.join(F.broadcast(wanted) if short else wanted, KEY, "left_semi")
+
+def reduce_to(long: DataFrame, db: DataFrame) -> DataFrame:
+    """:func:`semi_reduce` to the keys of a written table, which are measured: broadcast up to a fixed size, beyond
+    which the join shuffles."""
+    wanted = db.select(*KEY)
+    return long.join(F.broadcast(wanted) if is_short(wanted, F.octet_length("token") + 16) else wanted, KEY, "left_semi")
 
 
 def one_to_one(a_db: DataFrame, b_db: DataFrame, unique: str = "record") -> DataFrame:
@@ -77,7 +79,7 @@ def subset_pairs(clinic: DataFrame, register: DataFrame, rules: RuleSet = EVALUA
     """One-to-one pairs between the validation subset and the register."""
     subset = materialize(file_db(validation_subset(clinic), rules, sep).where("n_records = 1"))
     long = tokens_long(register, rules, sep, ("death_date",))
-    return one_to_one(subset, token_db(semi_reduce(long, subset) if reduce else long), unique)
+    return one_to_one(subset, token_db(reduce_to(long, subset) if reduce else long), unique)
 
 
 def link_outcomes(clinic: DataFrame, register: DataFrame, rules: RuleSet = EVALUATED) -> DataFrame:
@@ -91,7 +93,7 @@ def link_outcomes(clinic: DataFrame, register: DataFrame, rules: RuleSet = EVALU
 def links(clinic: DataFrame, register: DataFrame, rules: RuleSet = EVALUATED, sep: str = "") -> DataFrame:
     """(rule_id, clinic_id, reg_id, clinic_dod, reg_dod) for keys unique in both whole files."""
     mine = materialize(file_db(clinic, rules, sep).where("n_records = 1"))
-    theirs = token_db(semi_reduce(tokens_long(register, rules, sep, ("death_date",)), mine))
+    theirs = token_db(reduce_to(tokens_long(register, rules, sep, ("death_date",)), mine))
     return one_to_one(mine, theirs).drop("token")
 
 

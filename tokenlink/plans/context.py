@@ -46,7 +46,7 @@ class Context:
     @cached_property
     def register_db(self) -> DataFrame:
         """The register's counts of the clinic's keys; the validation subset's keys are among them."""
-        return materialize(linkage.token_db(linkage.semi_reduce(tokens_long(self.register, keep=("death_date",)), self.clinic_db)))
+        return materialize(linkage.token_db(linkage.reduce_to(tokens_long(self.register, keep=("death_date",)), self.clinic_db)))
 
     @cached_property
     def pairs(self) -> DataFrame:
