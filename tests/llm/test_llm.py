@@ -5,6 +5,7 @@ import hashlib
 import math
 import random
 import re
+import time
 import zlib
 
 import numpy as np
@@ -491,17 +492,49 @@ def test_license_notices(spark):
     assert (got[5]["n_base"], got[5]["first_word"], got[5]["last_word"]) == (2, 1, 4)
 
 
+def edited(rng, text, n, inner=True):
+    """``text`` after n insertions, deletions and replacements of letters within words."""
+    s = list(text)
+    for _ in range(n):
+        i = rng.randrange(1, len(s) - 1)
+        s[i : i + 1] = rng.choice(([rng.choice("qzx")], [s[i], rng.choice("qzx")], [] if s[i] != " " else [" "]))
+    return " ".join("".join(s).split())
+
+
 def test_license_seeds_lose_nothing():
-    """Every edit within the bound is found, though only exact pieces are looked up."""
+    """Every insertion, deletion and replacement within the bound is found, though only exact pieces are looked up."""
     rng, scanner = random.Random(4), licenses.Scanner()
-    for label, text, errors in licenses.NOTICES:
+    for label, text, errors, exact in licenses.NOTICES:
         for _ in range(20):
-            s = list(text)
-            for _ in range(rng.randint(0, errors)):
-                i = rng.randrange(1, len(s) - 1)
-                s[i] = rng.choice("qzx")
-            words = ("before " + "".join(s) + " after").split()
-            assert label in {x[2] for x in scanner.fuzzy(words)}, "".join(s)
+            s = edited(rng, text, rng.randint(0, errors)) + (f" {exact}" if exact else "")
+            before, after = "before " * rng.randint(0, 3), " after" * rng.randint(0, 3)
+            got = [x for x in scanner.fuzzy((before + s + after).split()) if x[2] == label]
+            assert got and any(abs(a - before.count("before")) <= 1 for a, *_ in got), s
+
+
+def test_license_against_a_search_without_seeds():
+    """The same matches as running every pattern over the whole text, windows merged or not."""
+    rng, scanner = random.Random(5), licenses.Scanner()
+    fillers = "the license software public of and general copy version free notice".split()
+    for _ in range(150):
+        parts = []
+        for _ in range(rng.randint(1, 6)):
+            parts += [rng.choice(fillers) for _ in range(rng.randint(0, 8))]
+            _, text, errors, exact = rng.choice(licenses.NOTICES)
+            parts += (edited(rng, text, rng.randint(0, errors + 1)) + " " + exact).split()
+        joined = " ".join(parts)
+        expected = {x.label for x, p in zip(scanner.notices, scanner.patterns, strict=True) if p.search(joined)}
+        assert {x[2] for x in scanner.fuzzy(parts)} == expected, joined
+
+
+def test_license_spans():
+    scanner = licenses.Scanner()
+    words = "the mozila public license and mozilla public license here".split()
+    assert [x[:3] for x in scanner.fuzzy(words)] == [(1, 4, "mpl"), (5, 8, "mpl")]
+    assert [x[:3] for x in scanner.fuzzy("see spdx licence identifier bsl 1 0".split())] == [(1, 7, "boost")]
+    began = time.time()
+    assert len(scanner.fuzzy("gnu general public license and".split() * 5_000)) >= 5_000
+    assert time.time() - began < 30
 
 
 def passage_distance(item, text):

@@ -6,8 +6,13 @@ pieces, one of which must occur exactly (the pigeonhole principle).  One automat
 notices; around each hit a window that holds every possible match goes to the ``regex`` library, whose
 bounded-error matching confirms it and gives span and errors.
 
+The notices cover name lines, opening and body sentences of common licenses, and SPDX identifier lines, whose
+identifier itself must be exact; callers may pass their own table.
+
 Defined results.  A null text is empty: no words, no labels, score 0.  Overlapping places all count for the
-base; of a notice's fuzzy matches the leftmost non-overlapping ones count.  Spans are word positions.
+base; of a notice's fuzzy matches the leftmost non-overlapping ones count, each improved to its best fit.  Spans
+are word positions.  Null ids, ties and repeated rows are rows like any other; an empty table gives none.  Time
+is linear in a text's words.  Further columns pass through; a column named ``found`` is replaced by :func:`scan`.
 """
 
 from __future__ import annotations
@@ -15,6 +20,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
 import pandas as pd
 import regex
 from pyspark.sql import DataFrame
@@ -26,23 +32,39 @@ _LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz
 #: Base phrases and their labels.
 BASE = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
 
-#: Short notices: label, words, errors allowed.
+# Short notices: label, words, errors allowed, words that must follow exactly.
 NOTICES = (
-    ("mit", "permission is hereby granted free of charge to any person obtaining a copy", 6),
-    ("mit", "licensed under the mit license", 2),
-    ("apache", "licensed under the apache license version", 3),
-    ("gpl", "licensed under the gnu general public license", 3),
-    ("gpl", "free software you can redistribute it and or modify it under the terms of the gnu", 6),
-    ("lgpl", "gnu lesser general public license", 2),
-    ("agpl", "gnu affero general public license", 2),
-    ("bsd", "redistribution and use in source and binary forms with or without modification", 6),
-    ("bsd", "licensed under the bsd license", 2),
-    ("isc", "permission to use copy modify and or distribute this software for any purpose", 6),
-    ("mpl", "mozilla public license", 2),
-    ("epl", "eclipse public license", 2),
-    ("cc", "licensed under cc by", 1),
-    ("cc", "creative commons attribution", 2),
-    ("unlicense", "free and unencumbered software released into the public domain", 4),
+    ("mit", "permission is hereby granted free of charge to any person obtaining a copy", 6, ""),
+    ("mit", "the above copyright notice and this permission notice shall be included in all copies", 6, ""),
+    ("mit", "licensed under the mit license", 2, ""),
+    ("apache", "licensed under the apache license version", 3, ""),
+    ("apache", "unless required by applicable law or agreed to in writing software distributed under the license is distributed on an as is basis", 8, ""),
+    ("gpl", "licensed under the gnu general public license", 3, ""),
+    ("gpl", "free software you can redistribute it and or modify it under the terms of the gnu general public license", 8, ""),
+    ("gpl", "gnu general public license", 2, ""),
+    ("lgpl", "gnu lesser general public license", 2, ""),
+    ("lgpl", "gnu library general public license", 2, ""),
+    ("agpl", "gnu affero general public license", 2, ""),
+    ("gfdl", "gnu free documentation license", 2, ""),
+    ("bsd", "redistribution and use in source and binary forms with or without modification", 6, ""),
+    ("bsd", "may be used to endorse or promote products derived from this software without specific prior written permission", 8, ""),
+    ("bsd", "licensed under the bsd license", 2, ""),
+    ("isc", "permission to use copy modify and or distribute this software for any purpose", 6, ""),
+    ("mpl", "mozilla public license", 2, ""),
+    ("epl", "eclipse public license", 2, ""),
+    ("cddl", "common development and distribution license", 3, ""),
+    ("boost", "boost software license", 2, ""),
+    ("zlib", "altered source versions must be plainly marked as such and must not be misrepresented as being the original software", 8, ""),
+    ("artistic", "artistic license", 1, ""),
+    ("cc0", "creative commons zero", 1, ""),
+    ("cc0", "cc0 1 0 universal", 1, ""),
+    ("cc", "licensed under cc by", 1, ""),
+    ("cc", "creative commons attribution", 2, ""),
+    ("unlicense", "free and unencumbered software released into the public domain", 4, ""),
+    *((label, "spdx license identifier", 2, name) for label, name in (
+        ("mit", "mit"), ("apache", "apache 2 0"), ("gpl", "gpl 2 0"), ("gpl", "gpl 3 0"), ("lgpl", "lgpl 2 1"), ("lgpl", "lgpl 3 0"), ("agpl", "agpl 3 0"), ("bsd", "bsd 2 clause"), ("bsd", "bsd 3 clause"),
+        ("isc", "isc"), ("mpl", "mpl 2 0"), ("epl", "epl 2 0"), ("cddl", "cddl 1 0"), ("boost", "bsl 1 0"), ("zlib", "zlib"), ("artistic", "artistic 2 0"), ("cc0", "cc0 1 0"), ("unlicense", "unlicense"),
+    )),
 )
 
 
@@ -51,16 +73,32 @@ class Notice:
     label: str
     text: str
     errors: int
+    exact: str = ""
 
     @property
     def pieces(self) -> list[str]:
         n, k = len(self.text), self.errors + 1
         return [self.text[n * i // k : n * (i + 1) // k] for i in range(k)]
 
+    @property
+    def size(self) -> int:
+        return len(self.text) + (len(self.exact) + 1 if self.exact else 0)
+
     @property
     def pattern(self) -> regex.Pattern:
-        # a match begins and ends with a word; the best match within the bound is taken
-        return regex.compile(rf"(?b)(?<![^ ])(?:{regex.escape(self.text, special_only=True)}){{e<={self.errors}}}(?![^ ])")
+        # a match begins and ends with a word; each is improved to the best fit where it stands
+        tail = " " + regex.escape(self.exact, special_only=True) if self.exact else ""
+        return regex.compile(rf"(?e)(?<![^ ])(?:{regex.escape(self.text, special_only=True)}){{e<={self.errors}}}{tail}(?![^ ])")
+
+
+def _merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    out: list[tuple[int, int]] = []
+    for start, stop in sorted(spans):
+        if out and start <= out[-1][1]:
+            out[-1] = out[-1][0], max(stop, out[-1][1])
+        else:
+            out.append((start, stop))
+    return out
 
 
 class Scanner:
@@ -98,28 +136,26 @@ class Scanner:
     def fuzzy(self, words: list[str]) -> list[tuple[int, int, str, float]]:
         """(first word, word after the last, label, score) of each confirmed notice."""
         joined = " ".join(words)
-        windows: dict[int, list[list[int]]] = {}
-        for end, (size, own) in self.seeds.iter(joined):
+        windows: dict[int, list[tuple[int, int]]] = {}
+        for end, (length, own) in self.seeds.iter(joined):
             for i, at in own:
                 x = self.notices[i]
-                start = max(0, end - size + 1 - at - x.errors)
-                stop = min(len(joined), start + len(x.text) + 2 * x.errors + 1)
-                spans = windows.setdefault(i, [])
-                if spans and start <= spans[-1][1]:
-                    spans[-1][1] = max(stop, spans[-1][1])
-                else:
-                    spans.append([start, stop])
-        found = []
+                start = max(0, end - length + 1 - at - x.errors)
+                windows.setdefault(i, []).append((start, min(len(joined), start + x.size + 2 * x.errors + 1)))
+        if not windows:
+            return []
+        starts = np.cumsum([0, *(len(w) + 1 for w in words)])
+        found = set()
         for i, spans in windows.items():
             x = self.notices[i]
-            for start, stop in spans:
+            for start, stop in _merged(spans):
                 start = joined.rfind(" ", 0, start) + 1  # whole words
                 stop = joined.find(" ", stop) if joined.find(" ", stop) >= 0 else len(joined)
                 for m in self.patterns[i].finditer(joined, start, stop):
-                    first = joined.count(" ", 0, m.start())
-                    last = first + joined.count(" ", m.start(), m.end()) + 1
-                    found.append((first, last, x.label, 1 - sum(m.fuzzy_counts) / len(x.text)))
-        return sorted(set(found))
+                    # an error at an end may take in the blank there
+                    first, last = np.searchsorted(starts, (m.start() + (joined[m.start()] == " "), m.end() - (joined[m.end() - 1] == " ")), "right")
+                    found.add((int(first) - 1, int(last), x.label, 1 - sum(m.fuzzy_counts) / x.size))
+        return sorted(found)
 
     def scan(self, text: str | None) -> tuple[int, list[tuple[int, str]], list[tuple[int, int, str, float]]]:
         words = _WORD.findall((text or "").translate(_LOWER))

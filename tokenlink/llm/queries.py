@@ -56,6 +56,33 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linededup.drop_boilerplate(table(spark, sf_dir, "documents")).select("doc_id", "source", "text", "n_lines", "n_dropped")
 
 
+def law_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the law and the slots of op1 come to, shard by shard."""
+    placed = sharding.assign_shards(table(spark, sf_dir, "documents"))
+    count = lambda c: c.cast("long")
+    return placed.groupBy("shard").agg(F.count("*").alias("n_rows"), count(F.min("slot")).alias("first_slot"), count(F.max("slot")).alias("last_slot"), F.countDistinct("slot").alias("n_slots"))
+
+
+def sizes_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.assign_shards(table(spark, sf_dir, "documents")).select("doc_id", "size", "law")
+
+
+def base_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The base counts of op2."""
+    return pii.digest(table(spark, sf_dir, "documents")).select("doc_id", "n_email", "n_ip", "n_card", "n_phone")
+
+
+def base_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The base measures of op6."""
+    rows = rules.measured(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", rules.base_failed().alias("base_failed"))
+
+
+def base_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The base places of op9."""
+    return licenses.digest(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_sharding": op1_sharding,
     "op2_pii": op2_pii,
@@ -67,9 +94,64 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op8_quality_classifier": op8_quality_classifier,
     "op9_license_scan": op9_license_scan,
     "op10_line_dedup": op10_line_dedup,
+    # parts of the above that SQL can express
+    "law_sharding": law_sharding,
+    "sizes_sharding": sizes_sharding,
+    "base_pii": base_pii,
+    "base_rules": base_rules,
+    "base_licenses": base_licenses,
 }
 
+_LOWER = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+_DIGITS = "regexp_replace(m, '[^0-9]', '', 'g')"
+
 ORACLES: dict[str, str] = {
+    "law_sharding": """
+SELECT CAST(s AS INTEGER) AS shard, n AS n_rows, CAST(0 AS BIGINT) AS first_slot, n - 1 AS last_slot, n AS n_slots
+FROM (SELECT s, ((SELECT count(*) FROM documents) + 15 - s) // 16 AS n FROM range(16) AS r(s)) WHERE n > 0
+""",
+    "sizes_sharding": "SELECT doc_id, CAST(coalesce(strlen(text), 0) + 1 AS BIGINT) AS size, 'rows' AS law FROM documents",
+    "base_pii": rf"""
+WITH found AS (
+  SELECT doc_id, regexp_extract_all(t, '[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+') AS email, regexp_extract_all(t, '[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+') AS ip,
+         regexp_extract_all(t, '[0-9](?:[ -]?[0-9])+') AS card, regexp_extract_all(t, '\+[0-9][ ().0-9-]+[0-9]') AS phone
+  FROM (SELECT doc_id, coalesce(text, '') AS t FROM documents)
+)
+SELECT doc_id, CAST(len(email) AS BIGINT) AS n_email,
+  CAST(len(list_filter(ip, lambda m: list_bool_and(list_transform(string_split(m, '.'), lambda x: length(ltrim(x, '0')) < 3 OR (length(ltrim(x, '0')) = 3 AND ltrim(x, '0') <= '255'))))) AS BIGINT) AS n_ip,
+  CAST(len(list_filter(card, lambda m: length({_DIGITS}) BETWEEN 12 AND 19 AND list_sum(list_transform(range(1, length({_DIGITS}) + 1), lambda i:
+    CASE WHEN (length({_DIGITS}) - i) % 2 = 0 THEN ascii(substr({_DIGITS}, i, 1)) - 48 WHEN ascii(substr({_DIGITS}, i, 1)) > 52 THEN 2 * (ascii(substr({_DIGITS}, i, 1)) - 48) - 9 ELSE 2 * (ascii(substr({_DIGITS}, i, 1)) - 48) END)) % 10 = 0)) AS BIGINT) AS n_card,
+  CAST(len(list_filter(phone, lambda m: length({_DIGITS}) BETWEEN 9 AND 15)) AS BIGINT) AS n_phone
+FROM found
+""",
+    "base_rules": r"""
+WITH words AS (
+  SELECT doc_id, coalesce(text, '') AS t, list_filter(regexp_split_to_array(coalesce(text, ''), '[ 	-]+'), lambda x: x <> '') AS w FROM documents
+), grams AS (
+  SELECT doc_id, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 1)) AS i FROM words WHERE len(w) >= 3)
+), twins AS (
+  SELECT doc_id, i FROM (SELECT *, count(*) OVER (PARTITION BY doc_id, g) AS n FROM grams) WHERE n > 1
+), covered AS (
+  SELECT doc_id, count(DISTINCT p) AS n FROM (SELECT doc_id, unnest([i, i + 1, i + 2]) AS p FROM twins) GROUP BY doc_id
+), measured AS (
+  SELECT words.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(list_sum(list_transform(w, lambda x: length(x))), 0) AS BIGINT) AS word_chars,
+    CAST(length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, CAST(len(l) - len(list_distinct(l)) AS BIGINT) AS n_dup_lines, coalesce(n, 0) AS n_repeat_words
+  FROM (SELECT *, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^ 	-]')) AS l FROM words) words LEFT JOIN covered ON covered.doc_id = words.doc_id
+)
+SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM measured
+""",
+    "base_licenses": rf"""
+WITH words AS (
+  SELECT doc_id, regexp_extract_all({_LOWER}, '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents
+), places AS (
+  SELECT doc_id, i - 1 AS pos, CASE WHEN w[i] = 'mit' AND w[i + 1] = 'license' THEN 'mit' WHEN w[i] = 'apache' AND w[i + 1] = 'license' THEN 'apache'
+    WHEN w[i] = 'general' AND w[i + 1] = 'public' AND w[i + 2] = 'license' THEN 'gpl' END AS label
+  FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM words)
+), found AS (
+  SELECT doc_id, count(*) AS n, min(pos) AS first, max(pos) AS last, string_agg(DISTINCT label, ',' ORDER BY label) AS labels FROM places WHERE label IS NOT NULL GROUP BY doc_id
+)
+SELECT words.doc_id, CAST(len(w) AS BIGINT) AS n_words, coalesce(n, 0) AS n_base, first AS first_word, last AS last_word, coalesce(labels, '') AS base_labels FROM words LEFT JOIN found ON found.doc_id = words.doc_id
+""",
     "op5_minhash_near_dedup": r"""
 WITH RECURSIVE words AS (
   SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[ \t-\r]+'), lambda x: x <> '') AS w

@@ -1,37 +1,11 @@
-"""Tables that cut lineage, kept in the folder every executor shares.
-
-The folder is the session's checkpoint directory (``spark.checkpoint.dir``).  Only a local session may
-go without that setting; it then gets a temporary folder of its own.
-"""
+"""Tables that cut lineage, kept in the folder every executor shares, and joins with tables of a measured size."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-
-def shared_dir(spark: SparkSession) -> str:
-    sc = spark.sparkContext
-    current = sc._jsc.sc().getCheckpointDir()
-    if current.isDefined():
-        return current.get()
-    configured = sc.getConf().get("spark.checkpoint.dir", None)
-    if configured is None:
-        if not sc.master.startswith("local[") and sc.master != "local":
-            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-        configured = tempfile.mkdtemp(prefix="tokenlink-")
-    sc.setCheckpointDir(configured)
-    return sc._jsc.sc().getCheckpointDir().get()
-
-
-def materialize(df: DataFrame) -> DataFrame:
-    """Write ``df`` once and return a scan of what was written; a lost executor rereads, never recomputes."""
-    path = f"{shared_dir(df.sparkSession)}/tables/{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+from ..sources.written import materialize, shared_dir  # noqa: F401
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
