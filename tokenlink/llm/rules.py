@@ -190,11 +190,11 @@ def certified_cutoffs(labelled: DataFrame, id_col: str = "doc_id", stratum_col:
     rows = judged.select(F.col(stratum_col).cast("string").alias("__s"), F.pmod(F.xxhash64(id_col), F.lit(2)).alias("__half"), (F.col("quality") == 1).cast("int").alias("__good"), *firsts)
     # (1 - risk) ** n is what n good rows without a rejection can show at best
     least = math.ceil(math.log(level) / math.log1p(-risk))
-    enough = rows.groupBy("__s").agg(F.sum(F.col("__good") * F.col("__half")).alias("n")).where(F.col("n") >= least).select("__s")
     steps = [f"__{i}" for i in range(len(RULES))]
+    counted = materialize(rows.groupBy("__s", "__half", *steps).agg(F.sum("__good").alias("g"), F.count("*").alias("n")))
+    enough = counted.where("__half = 1").groupBy("__s").agg(F.sum("g").alias("good")).where(F.col("good") >= least).select("__s")
     halves: dict[str, tuple[Counts, Counts]] = {}
-    counted = rows.join(enough, "__s", "left_semi").groupBy("__s", "__half", *steps).agg(F.sum("__good").alias("g"), F.count("*").alias("n"))
-    for row in counted.collect():
+    for row in counted.join(enough, "__s", "left_semi").collect():
         halves.setdefault(row["__s"], ({}, {}))[row["__half"]][tuple(row[c] for c in steps)] = (row["g"], row["n"] - row["g"])
     found = {s: certified(*both, risk, level / len(halves)) for s, both in halves.items()}
     return {s: x for s, x in found.items() if x}
