@@ -81,6 +81,23 @@ def test_latest_wins_and_replay(spark, data, tmp_path):
     assert streams.current(spark, f"{tmp_path}/table").where("version = 999").count() == 0
 
 
+def test_upserts_cost_what_is_delivered(spark, tmp_path):
+    """Many small deliveries after a large one leave it alone, parts stay few, and old parts go."""
+    table, n = f"{tmp_path}/t", 40
+    put = streams.upsert_latest(table, "person", ("version",))
+    put(spark.range(2000).selectExpr("id AS person", "0 AS version"), 0)
+    for b in range(1, n):
+        put(spark.range(5).selectExpr(f"id * 7 % 11 + {b} AS person", f"{b} AS version"), b)
+    state = streams._pointer(spark, table)
+    assert state["parts"][0] == {"path": f"{table}/v0", "rows": 2000} and len(state["parts"]) < 8
+    on_disk = {x.name for x in (tmp_path / "t").iterdir() if x.is_dir()}
+    assert on_disk == {x["path"].rsplit("/", 1)[1] for x in state["parts"]} | {x.rsplit("/", 1)[1] for x in state["gone"]}
+    expected = dict.fromkeys(range(2000), 0)
+    for b in range(1, n):
+        expected |= {i * 7 % 11 + b: b for i in range(5)}
+    assert {r["person"]: r["version"] for r in streams.current(spark, table).collect()} == expected
+
+
 def test_windows_late_and_repeated(spark, data, tmp_path):
     events = Context(spark, data).t.events
     schema = ", ".join(f"{n} {t}" for n, t in events.dtypes)

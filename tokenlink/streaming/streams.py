@@ -49,11 +49,13 @@ def new_patient_links(arriving: DataFrame, register_db: DataFrame) -> Callable[[
 
 
 def upsert_latest(table: str, key: str, order: tuple[str, ...]) -> Callable[[DataFrame, int], None]:
-    """For ``foreachBatch``: keep the newest row of each key in versioned Parquet below ``table``.
+    """For ``foreachBatch``: keep the newest row of each key in Parquet parts below ``table``.
 
-    A pointer file names the current version and the batch that made it, so a batch that is replayed after a
-    restart is recognized and changes nothing.  The pointer is written through Hadoop's file system, which
-    every table path has.
+    A batch is reduced to its newest rows and written as a part of its own.  Parts are merged while the one before is
+    not more than twice as large, so that a row is rewritten about log(table / batch) times, and not at every batch.
+    A pointer file names the parts and the batch that made the last, so a batch that is replayed after a restart is
+    recognized and changes nothing; parts that the pointer before last named are deleted.  Pointer and parts go
+    through Hadoop's file system, which every table path has.
     """
 
     def put(batch: DataFrame, batch_id: int) -> None:
@@ -61,16 +63,40 @@ def upsert_latest(table: str, key: str, order: tuple[str, ...]) -> Callable[[Dat
         state = _pointer(spark, table)
         if batch_id <= state["batch"]:
             return
-        rows = batch if state["batch"] < 0 else spark.read.schema(batch.schema).parquet(f"{table}/v{state['batch']}").unionByName(batch)
-        w = Window.partitionBy(key).orderBy(*[F.col(c).desc() for c in order])
-        rows.withColumn("__rn", F.row_number().over(w)).where("__rn = 1").drop("__rn").write.mode("overwrite").parquet(f"{table}/v{batch_id}")
-        _set_pointer(spark, table, {"batch": batch_id})
+        parts = [*state["parts"], _part(spark, _newest(batch, key, order), f"{table}/v{batch_id}")]
+        made = list(parts)
+        while len(parts) > 1 and parts[-2]["rows"] <= 2 * parts[-1]["rows"]:
+            both = spark.read.schema(batch.schema).parquet(*[x["path"] for x in parts[-2:]])
+            parts[-2:] = [_part(spark, _newest(both, key, order), f"{table}/m{batch_id}-{len(parts) - 1}")]
+            made.append(parts[-1])
+        named = {x["path"] for x in parts}
+        gone = [x["path"] for x in made if x["path"] not in named]
+        _set_pointer(spark, table, {"batch": batch_id, "key": key, "order": list(order), "parts": parts, "gone": gone})
+        for path in state["gone"]:
+            _delete(spark, path)
 
     return put
 
 
+def _newest(rows: DataFrame, key: str, order: tuple[str, ...] | list[str]) -> DataFrame:
+    w = Window.partitionBy(key).orderBy(*[F.col(c).desc() for c in order])
+    return rows.withColumn("__rn", F.row_number().over(w)).where("__rn = 1").drop("__rn")
+
+
+def _part(spark: SparkSession, rows: DataFrame, path: str) -> dict:
+    rows.write.mode("overwrite").parquet(path)
+    return {"path": path, "rows": spark.read.parquet(path).count()}
+
+
 def current(spark: SparkSession, table: str) -> DataFrame:
-    return spark.read.parquet(f"{table}/v{_pointer(spark, table)['batch']}")
+    """The newest row of each key over the parts."""
+    state = _pointer(spark, table)
+    return _newest(spark.read.parquet(*[x["path"] for x in state["parts"]]), state["key"], state["order"])
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    gone = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    gone.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(gone, True)
 
 
 def _path(spark: SparkSession, table: str):  # noqa: ANN202  a Java object
@@ -82,7 +108,7 @@ def _path(spark: SparkSession, table: str):  # noqa: ANN202  a Java object
 def _pointer(spark: SparkSession, table: str) -> dict:
     fs, path = _path(spark, table)
     if not fs.exists(path):
-        return {"batch": -1}
+        return {"batch": -1, "parts": [], "gone": []}
     stream = fs.open(path)
     try:
         return json.loads(bytes(stream.readAllBytes()).decode())
