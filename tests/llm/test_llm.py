@@ -490,6 +490,28 @@ def test_quality_held_out(spark):
     assert np.mean([r["predicted"] == r["quality"] for r in rows]) > 0.9
 
 
+def test_quality_scores_by_hand(docs, labels):
+    """Features counted in Python and table entries summed one by one give the scores."""
+    model = quality.train(docs, labels)
+    scores = {r["doc_id"]: r["score"] for r in quality.scored(docs, model).collect()}
+    ratio = lambda a, b: a / max(b, 1)
+    for r in docs.collect():
+        t = r["text"] or ""
+        w, lines = re.findall(r"[^\x20\x09-\x0D]+", t), t.split("\n")
+        n, size = max(len(w), 1), max(len(t), 1)
+        count = lambda p: len(re.findall(p, t))
+        x = [math.log1p(len(w)), len(set(w)) / n, (len(set(w)) - math.sqrt(n)) / n, len(t) / n, ratio(len(t.encode()), size), n / len(lines), len(set(lines)) / len(lines)]
+        x += [count(r"[#*$%&<>{}\\^~=_]") / n, t.count("|") / n, t.count("!") / n, t.count(".") / n, t.count(",") / n, count("[A-Z]") / size, count("[0-9]") / size]
+        cell = lambda edges: sum(v >= e for e in edges[0] for v in [edges[1]])
+        total = model.bias
+        for shape, edges, v in zip(model.shapes, model.edges, x, strict=True):
+            total += shape[cell((edges, v))]
+        for (i, j), surface in zip(model.pairs, model.surfaces, strict=True):
+            total += surface[cell((model.coarse[i], x[i])) * (len(model.coarse[j]) + 1) + cell((model.coarse[j], x[j]))]
+        assert abs(scores[r["doc_id"]] - 1 / (1 + math.exp(-total))) < 1e-9
+    assert len(model.pairs) == model.n_pairs and len(set(scores.values())) > 20
+
+
 def test_quality_ignores_held_out_labels(docs, labels):
     flipped = labels.withColumn("quality", F.when(quality.fold() == quality.HELD_OUT, 1 - F.col("quality")).otherwise(F.col("quality")))
     a, b = (quality.classify(docs, x).select("doc_id", "score").collect() for x in (labels, flipped))

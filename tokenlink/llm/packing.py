@@ -9,7 +9,9 @@ Tokenizing looks words up: this tokenizer drops white space and never joins word
 are those of its blank-separated words in order.
 
 Defined results.  A null or empty text is one piece holding the closing id alone.  Null ids and repeated rows
-are packed like any other row.  An empty table gives no rows.
+are packed like any other row, and equal pieces, being alike, may take each other's places.  A very long text is
+cut, never shortened.  An empty table gives no rows.  Only the id and the text are read, so no other column's name
+can clash.
 """
 
 from __future__ import annotations

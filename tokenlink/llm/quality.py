@@ -9,7 +9,10 @@ Labels are learnt only from rows whose ``crc32(doc_id) % 4`` is not 2.  Language
 never features.
 
 Defined results.  A null or empty text is scored like any other, from zero features.  Without labels of both
-kinds the score is the smoothed share of good labels (0.5 if there are none).  A label's id met in several documents labels each.
+kinds the score is the smoothed share of good labels (0.5 if there are none).  A label's id met in several
+documents labels each; null ids and null labels label nothing; repeated rows are scored alike.  A very long text is
+read whole.  An empty table gives no rows.  Further columns pass through; columns named ``score`` or ``predicted``
+are replaced.
 """
 
 from __future__ import annotations
