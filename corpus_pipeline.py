@@ -2,6 +2,11 @@
 
 Every stage takes (spark, docs, sf_dir), where docs is what its predecessor kept, and returns a DataFrame;
 all but the last return the columns of the documents.
+
+Defined results.  A row without an id is scored, cleaned and packed like any other, is nobody's near-duplicate and
+is never found contaminated.  Rows that share an id and a text are kept or dropped together until near-duplicates
+are removed, which keeps every row that has the kept id; a null text scores as an empty one.  An empty table passes
+every stage.
 """
 
 from __future__ import annotations
