@@ -7,8 +7,9 @@ from pyspark.sql import functions as F
 
 from tokenlink.functions import cleaning, phonetic
 from tokenlink.functions.sql import register as register_sql
-from tokenlink.operators import evaluate, linkage, profile, tokens, weights
+from tokenlink.operators import evaluate, linkage, present, profile, tokens, weights
 from tokenlink.operators.rules import EVALUATED, Part, RuleSet
+from tokenlink.plans import linkage_queries as Q
 from tokenlink.plans.context import Context
 from tokenlink.sources import written
 
@@ -291,3 +292,18 @@ def test_sql_functions(spark):
     assert tuple(row) == ("ZOE", "19500507", "123354789", None)
     got = spark.sql("SELECT * FROM token_rows(map('ssn', '123354789', 'last_name', 'LEE'), 'S4 L, L B')").collect()
     assert [tuple(r) for r in got] == [("S4 L", "4789LEE")]
+
+
+def reads(df, table):
+    """Whether the plan scans the table."""
+    return any(f"/{table}.parquet" in f for f in df.inputFiles())
+
+
+def test_categories_as_published(spark, data):
+    """The published counts, one-to-one and agreeing, of the twenty rules give the published categories; the query reads customers."""
+    one = (1074, 3232, 4084, 3296, 1103, 4445, 1081, 7611, 1170, 1572, 3847, 2325, 4240, 5198, 1260, 2592, 4821, 521, 427, 79)
+    agree = (914, 2647, 3292, 2696, 938, 3398, 920, 2636, 986, 934, 2972, 767, 3206, 3249, 1039, 760, 3098, 66, 56, 4)
+    rates = spark.createDataFrame([(i, k / n) for i, (n, k) in enumerate(zip(one, agree, strict=True), 1)], "rule_id int, match_rate double")
+    got = [(r["rule_id"], r["category"]) for r in present.rule_priority(rates).orderBy("priority").collect()]
+    assert got == [(i, 1) for i in (7, 1, 5, 9, 15, 2, 4, 3)] + [(i, 2) for i in (11, 6, 13, 17, 14, 10)] + [(i, 3) for i in (8, 12, 16, 19, 18, 20)]
+    assert reads(Q.QUERIES["q_paper_categories"](spark, data), "customer")
