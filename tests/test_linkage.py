@@ -307,3 +307,15 @@ def test_categories_as_published(spark, data):
     got = [(r["rule_id"], r["category"]) for r in present.rule_priority(rates).orderBy("priority").collect()]
     assert got == [(i, 1) for i in (7, 1, 5, 9, 15, 2, 4, 3)] + [(i, 2) for i in (11, 6, 13, 17, 14, 10)] + [(i, 3) for i in (8, 12, 16, 19, 18, 20)]
     assert reads(Q.QUERIES["q_paper_categories"](spark, data), "customer")
+
+
+def test_phonetic_words(spark, data):
+    """Published codes of ten words; the query codes the words of part names."""
+    published = {
+        "science": ("SNS", "SNS", "SNS"), "quick": ("KK", "KK", "KK"), "brown": ("BRN", "PRN", "PRN"), "fox": ("FKS", "FKS", "FKS"), "jumped": ("JMPT", "JMPT", "AMPT"),
+        "over": ("OFR", "AFR", "AFR"), "lazy": ("LS", "LS", "LS"), "dogs": ("TKS", "TKS", "TKS"), "the": ("0", "0", "T"), "wright": ("RT", "RT", "RT"),
+    }
+    words = spark.createDataFrame([(w,) for w in published], "word string")
+    got = words.select("word", phonetic.metaphone(F.col("word")).alias("m"), phonetic.double_metaphone(F.col("word")).alias("d")).collect()
+    assert {r["word"]: (r["m"], r["d"]["primary"], r["d"]["alternate"]) for r in got} == published
+    assert reads(Q.QUERIES["q_phonetic_words"](spark, data), "part")
