@@ -319,3 +319,12 @@ def test_phonetic_words(spark, data):
     got = words.select("word", phonetic.metaphone(F.col("word")).alias("m"), phonetic.double_metaphone(F.col("word")).alias("d")).collect()
     assert {r["word"]: (r["m"], r["d"]["primary"], r["d"]["alternate"]) for r in got} == published
     assert reads(Q.QUERIES["q_phonetic_words"](spark, data), "part")
+
+
+def test_rule_kinds_count_records(spark, data):
+    """Kinds come with the clinic's keys of each rule, which agree with the keys themselves."""
+    df = Q.QUERIES["q_rule_kinds"](spark, data)
+    assert reads(df, "customer")
+    n = {r["rule"]: r["n_complete"] for r in df.collect()}
+    keys = Q.QUERIES["q_tokens_long"](spark, data).groupBy("rule_id").count().collect()
+    assert {k: v for k, v in n.items() if k.startswith("evaluated.") and v} == {f"evaluated.{r['rule_id']}": r["count"] for r in keys}
