@@ -328,3 +328,11 @@ def test_rule_kinds_count_records(spark, data):
     n = {r["rule"]: r["n_complete"] for r in df.collect()}
     keys = Q.QUERIES["q_tokens_long"](spark, data).groupBy("rule_id").count().collect()
     assert {k: v for k, v in n.items() if k.startswith("evaluated.") and v} == {f"evaluated.{r['rule_id']}": r["count"] for r in keys}
+
+
+def test_profile_of_month_first_dates(spark, data):
+    """Five known records by hand; the query profiles the clinic's."""
+    five = (("JOHN", "1950-05-07"), ("JOHN", "1950-05-07"), ("MARY", "2008-12-25"), ("PETER", None), ("%^3", "1999-01-31"))
+    raw = spark.createDataFrame([(*x, None, None, None, None) for x in five], "first_name_raw string, birth_raw string, ssn_raw string, last_name_raw string, middle_name_raw string, dod date")
+    assert {tuple(r) for r in Q._month_first(raw).collect()} == {("birth_date", 4, 3, 0), ("first_name", 5, 4, 1)}
+    assert reads(Q.QUERIES["q_table2_example"](spark, data), "customer")
